@@ -105,6 +105,26 @@ def _first_basis(need: np.ndarray, sizes: np.ndarray, most: int) -> np.ndarray:
     return basis
 
 
+def _inverse(matrix: np.ndarray) -> np.ndarray:
+    """Gauss-Jordan with row pivots.  The driver stays clear of threaded LAPACK, whose pool can hang beside a JVM."""
+    n = len(matrix)
+    work = np.concatenate([matrix, np.eye(n)], axis=1)
+    for i in range(n):
+        best = i + int(np.abs(work[i:, i]).argmax())
+        if best != i:
+            work[[i, best]] = work[[best, i]]
+        work[i] /= work[i, i] or np.nan
+        factor = work[:, i].copy()
+        factor[i] = 0
+        use = np.flatnonzero(factor)
+        work[use] -= factor[use, None] * work[i]
+    return work[:, n:]
+
+
+def _apply(matrix: np.ndarray, vector: np.ndarray) -> np.ndarray:
+    return (matrix * vector).sum(axis=1)
+
+
 def solve(demand: np.ndarray, sizes: np.ndarray, most: int = SEQUENCE, columns: int = MAX_COLUMNS) -> tuple[list[Cut], float]:
     """Patterns that cover the demand exactly, and the linear program's lower bound on sequences."""
     demand = demand.astype(np.int64)
@@ -114,30 +134,34 @@ def solve(demand: np.ndarray, sizes: np.ndarray, most: int = SEQUENCE, columns:
     size, need = sizes[at], demand[at].astype(float)
     n = len(at)
     basis = _first_basis(need, size, most)  # a pattern a column
-    inverse = np.linalg.inv(basis)
+    inverse = _inverse(basis)
     joined = 0
     for _ in range(ROUNDS):
         best, patterns = best_patterns(np.maximum(inverse.sum(axis=0), 0), size, most, 1 + 1e-9)
-        sequences = float((inverse @ need).sum())
+        sequences = float(_apply(inverse, need).sum())
         if joined >= columns or best <= 1 + GAP or sequences - sequences / best < 1:  # no cover needs fewer than sequences / best
             break
-        before = joined
+        before, sound = joined, (basis.copy(), inverse)
         for column in patterns:
-            if inverse.sum(axis=0) @ column <= 1 + 1e-9:  # prices have changed
+            if (inverse.sum(axis=0) * column).sum() <= 1 + 1e-9:  # prices have changed
                 continue
-            use, have = inverse @ column, inverse @ need
-            ratio = np.where(use > 1e-9, np.maximum(have, 0) / np.where(use > 1e-9, use, 1), np.inf)
+            use, have = _apply(inverse, column), _apply(inverse, need)
+            if not (use > 1e-7).any():
+                continue
+            ratio = np.where(use > 1e-7, np.maximum(have, 0) / np.where(use > 1e-7, use, 1), np.inf)
             out = int(ratio.argmin())
             basis[:, out] = column
             pivot = inverse[out] / use[out]
-            inverse -= np.outer(use, pivot)
+            inverse = inverse - np.outer(use, pivot)
             inverse[out] = pivot
             joined += 1
-        inverse = np.linalg.inv(basis)
+        inverse = _inverse(basis)
+        if not np.isfinite(inverse).all() or np.abs(_apply(basis, _apply(inverse, need)) - need).max() > 1e-6 * need.max():
+            basis, inverse = sound  # a pivot too small: what was found before stands
+            break
         if joined == before:  # only prices below zero stood in the way
             break
-    inverse = np.linalg.inv(basis)
-    amounts = np.maximum(inverse @ need, 0)
+    amounts = np.maximum(_apply(inverse, need), 0)
     left, cuts = demand[at].copy(), []
     for j in np.argsort(-amounts, kind="stable"):
         pattern = basis[:, j].round().astype(np.int64)
