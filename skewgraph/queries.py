@@ -1,2 +1,295 @@
-def queries():
-    return {}
+"""Registered queries of the graph engine."""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from . import generators, relational
+from .functions import loads as ld
+from .functions import measures as ms
+from .graph import Graph, to_edges
+from .operators import programs, scan
+from .operators.strategies import Options, blocks, split_edges, split_map
+from .plans import engine
+from .streaming import batches
+from .views import VIEWS
+
+Query = Callable[[SparkSession, str], DataFrame]
+WORKERS, SWITCH, STEPS = 8, 8, 3
+STATS_VIEWS = tuple(v for v in VIEWS if v != "embedding_knn")
+SEARCH_VIEWS = ("part_next", "supplier_part", "event_hub")
+SOURCES = {"token_bigram": "the", "fk_entities": "c0"}
+#: Supersteps after which the deep lattices stop here; the bench runs them to the end.
+CAPS = {"part_grid": 8, "event_lattice": 8}
+
+
+def graph(spark: SparkSession, sf_dir: str, view: str) -> Graph:
+    return Graph.of(VIEWS[view](spark, sf_dir))
+
+
+def source(view: str):
+    return SOURCES.get(view, 0)
+
+
+def _mdt(g: Graph) -> int:
+    return ms.find_mdt(g.all_degrees())
+
+
+def _levels(g: Graph, view: str, most: int | None = None) -> DataFrame:
+    return engine.bfs(g, [source(view)], "BS", max_supersteps=most).state
+
+
+def stats(view):
+    return lambda spark, d: ms.graph_stats(graph(spark, d, view))
+
+
+def outdegree_hist(view):
+    return lambda spark, d: ms.degree_histogram(graph(spark, d, view).all_degrees())
+
+
+def degree_bins(view):
+    return lambda spark, d: ms.degree_bins(graph(spark, d, view).all_degrees())
+
+
+def mdt(view):
+    def run(spark, d):
+        degrees = graph(spark, d, view).all_degrees()
+        return ms.mdt_report(degrees, {"auto": ms.find_mdt(degrees)})
+
+    return run
+
+
+def mdt_rules(view):
+    def run(spark, d):
+        degrees = graph(spark, d, view).all_degrees()
+        return ms.mdt_report(degrees, {r if isinstance(r, str) else "constant": ms.find_mdt(degrees, r) for r in ("auto", "max", "max_minus_avg", 5)})
+
+    return run
+
+
+def ns_split(view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        return split_map(g.degrees(), _mdt(g))
+
+    return run
+
+
+def ns_degrees(view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        m, degrees = _mdt(g), g.all_degrees()
+        after = degrees.where(F.col("deg") <= m).select("deg").unionByName(split_map(g.degrees(), m).select(F.col("part_deg").alias("deg")))
+        rows = [ms.degree_histogram(x).withColumn("phase", F.lit(p)) for p, x in (("before", degrees), ("after", after))]
+        return rows[0].unionByName(rows[1])
+
+    return run
+
+
+def ns_invariants(view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        parts = split_edges(g, _mdt(g)).groupBy("parent", "child_no").agg(F.count("*").alias("part_deg"))
+        whole = parts.groupBy("parent").agg(F.sum("part_deg").alias("e"), F.max("part_deg").alias("most"), (F.max("part_deg") - F.min("part_deg")).alias("gap"))
+        after = whole.agg(F.sum("e").alias("edges_after"), F.max("most").alias("max_part_deg"), F.max("gap").alias("max_gap"))
+        return g.edges.agg(F.count("*").alias("edges_before")).join(F.broadcast(after))  # one row beside one row
+
+    return run
+
+
+def csr_pages(view):
+    def run(spark, d):
+        total = lambda c: F.aggregate("adj", F.lit(0).cast("long"), lambda s, e: s + e[c])
+        return graph(spark, d, view).pages().groupBy("node", "deg").agg(F.sum(F.size("adj")).alias("n"), F.sum(total("dst")).alias("sum_dst"), F.sum(total("w")).alias("sum_w"))
+
+    return run
+
+
+def coo_roundtrip(view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        back = to_edges(g.pages())
+        return g.edges.exceptAll(back).unionByName(back.exceptAll(g.edges)).agg(F.count("*").alias("differing"))
+
+    return run
+
+
+def scan_query(view):
+    return lambda spark, d: scan.inclusive(graph(spark, d, view).degrees(), ["node"], "deg").select("node", "deg", F.col("hi").alias("running_total"))
+
+
+def wd_blocks(view):
+    return lambda spark, d: blocks(graph(spark, d, view).degrees(), WORKERS).select("worker", "node", "offset", "len")
+
+
+def load_query(strategy, view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        return ld.loads(strategy, ld.frontiers(g, _levels(g, view, STEPS), STEPS), g.degrees(), WORKERS, _mdt(g), SWITCH)
+
+    return run
+
+
+def balance(view):
+    def run(spark, d):
+        g, out = graph(spark, d, view), None
+        front, m = ld.frontiers(g, _levels(g, view, STEPS), STEPS), _mdt(g)
+        for s in ms.STRATEGIES:
+            per_worker = ld.loads(s, front, g.degrees(), WORKERS, m, SWITCH).groupBy("superstep", "launch").agg(F.max("load").alias("most"), F.sum("load").alias("load"))
+            part = per_worker.groupBy("superstep").agg(F.sum("most").alias("makespan"), F.sum("load").alias("total")).withColumn("strategy", F.lit(s))
+            out = part if out is None else out.unionByName(part)
+        return out.withColumn("imbalance_permille", F.floor(F.col("makespan") * 1000 * WORKERS / F.col("total")).cast("long"))
+
+    return run
+
+
+def hp_sublists(view, switch_below=SWITCH):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        return ld.sublist_report(ld.frontiers(g, _levels(g, view, STEPS), STEPS), _mdt(g), switch_below)
+
+    return run
+
+
+def ep_pushes(view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        return ld.push_report(g, _levels(g, view, STEPS), STEPS)
+
+    return run
+
+
+def memory(view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        children = ms.mdt_report(g.all_degrees(), {"auto": _mdt(g)}).first()["n_children"]
+        row = ms.graph_stats(g).first()
+        words = ms.memory_words(row["n_nodes"], row["n_edges"], children, WORKERS)
+        return ms.memory_frame(g, children, WORKERS, (words["HP"] + words["EP"]) // 2)
+
+    return run
+
+
+def rank_memory(view):
+    def run(spark, d):
+        order = F.rank().over(Window.partitionBy(F.lit(0)).orderBy("words"))  # five rows
+        return memory(view)(spark, d).select("strategy", "words", order.alias("rank"))
+
+    return run
+
+
+def search(program, strategy, view):
+    def run(spark, d):
+        found = getattr(engine, program)(graph(spark, d, view), [source(view)], strategy, options=Options(WORKERS, switch_below=SWITCH), max_supersteps=CAPS.get(view))
+        return found.state.select("node", F.col("value").alias("level" if program == "bfs" else "dist"))
+
+    return run
+
+
+def bfs_parents(view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        return engine.with_parents(g, _levels(g, view)).withColumnRenamed("value", "level")
+
+    return run
+
+
+def level_sizes(view):
+    def run(spark, d):
+        g = graph(spark, d, view)
+        rows = _levels(g, view).join(g.degrees(), "node", "left")
+        return rows.groupBy(F.col("value").alias("level")).agg(F.count("*").alias("n_nodes"), F.sum(F.coalesce("deg", F.lit(0))).alias("active_edges"))
+
+    return run
+
+
+def components(view):
+    return lambda spark, d: engine.components(graph(spark, d, view), "EP", max_supersteps=6).state.select("node", F.col("value").alias("label"))
+
+
+def widest(view):
+    return lambda spark, d: engine.widest(graph(spark, d, view), [source(view)], "WD").state.where("step > 0").select("node", F.col("value").alias("width"))
+
+
+def agree(view):
+    """Rows in which another strategy's distances differ from the node-based ones, strategy by strategy."""
+
+    def run(spark, d):
+        base, out = search("sssp", "BS", view)(spark, d), None
+        for s in ms.STRATEGIES[1:]:
+            other = search("sssp", s, view)(spark, d)
+            part = base.exceptAll(other).unionByName(other.exceptAll(base)).agg(F.count("*").alias("differing")).withColumn("pair", F.lit(f"BS-{s}"))
+            out = part if out is None else out.unionByName(part)
+        return out
+
+    return run
+
+
+def distributive_check(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Violations of distributivity over small samples: none for least sums and widest paths, some for a median-like step."""
+    small = range(6)
+    cases = {"min_plus": (lambda v, w: v + w, min), "max_min": (lambda v, w: min(v, w), max), "mean": (lambda v, w: v * w % 5, lambda a, b: (a + b) // 2)}
+    rows = [(name, len(small) ** 3, len(programs.violations(e, c, small, small))) for name, (e, c) in cases.items()]
+    return spark.createDataFrame(rows, "program string, samples long, violations long")
+
+
+def _literal(spark, rows):
+    return spark.createDataFrame(rows, "node long, deg long")
+
+
+def wd_blocks_example(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return blocks(_literal(spark, [(1, 5), (8, 7)]), 4).select("worker", "node", "offset", "len")
+
+
+def ns_split_example(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return split_map(_literal(spark, [(8, 7)]), 4)
+
+
+def hp_sublists_example(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ld.sublist_report(_literal(spark, [(1, 5), (8, 7)]).withColumn("superstep", F.lit(1).cast("long")), 3, 0)
+
+
+def hp_tail_example(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Launches for one node of 100 edges and slices of 5, without and with the switch."""
+    front = _literal(spark, [(1, 100)]).withColumn("superstep", F.lit(1).cast("long"))
+    parts = [ld.sublist_report(front, 5, s).agg(F.count("*").alias("launches")).withColumn("switch_below", F.lit(s).cast("long")) for s in (0, 1024)]
+    return parts[0].unionByName(parts[1])
+
+
+def queries() -> dict[str, Query]:
+    out: dict[str, Query] = {}
+    for v in STATS_VIEWS:
+        for name, f in (("graph_stats", stats), ("outdegree_hist", outdegree_hist), ("degree_bins", degree_bins), ("mdt", mdt)):
+            out[f"{name}_{v}"] = f(v)
+    for v in ("part_next", "supplier_part", "order_part", "event_hub"):
+        for name, f in (("mdt_rules", mdt_rules), ("ns_split", ns_split), ("ns_degrees", ns_degrees), ("ns_invariants", ns_invariants), ("csr_pages", csr_pages), ("coo_roundtrip", coo_roundtrip), ("scan", scan_query), ("wd_blocks", wd_blocks), ("memory_words", memory), ("rank_memory", rank_memory)):
+            out[f"{name}_{v}"] = f(v)
+    for v in ("part_next", "event_hub"):
+        for s in ms.STRATEGIES:
+            out[f"loads_{s.lower()}_{v}"] = load_query(s, v)
+        out[f"balance_{v}"] = balance(v)
+        out[f"hp_sublists_{v}"] = hp_sublists(v)
+        out[f"hp_noswitch_{v}"] = hp_sublists(v, 0)
+        out[f"ep_pushes_{v}"] = ep_pushes(v)
+        out[f"bfs_parents_{v}"] = bfs_parents(v)
+        out[f"level_sizes_{v}"] = level_sizes(v)
+    for v in SEARCH_VIEWS:
+        for s in ms.STRATEGIES:
+            out[f"bfs_{s.lower()}_{v}"] = search("bfs", s, v)
+    for s in ms.STRATEGIES:
+        out[f"sssp_{s.lower()}_part_next"] = search("sssp", s, "part_next")
+    out["sssp_wd_order_part"] = search("sssp", "WD", "order_part")
+    out["bfs_wd_part_grid"], out["sssp_ns_part_grid"] = search("bfs", "WD", "part_grid"), search("sssp", "NS", "part_grid")
+    out["bfs_hp_event_lattice"], out["bfs_ep_fk_entities"] = search("bfs", "HP", "event_lattice"), search("bfs", "EP", "fk_entities")
+    out["components_event_hub"], out["widest_supplier_part"] = components("event_hub"), widest("supplier_part")
+    out["strategies_agree_supplier_part"] = agree("supplier_part")
+    out["distributive_check"] = distributive_check
+    out |= {f.__name__: f for f in (wd_blocks_example, ns_split_example, hp_sublists_example, hp_tail_example)}
+    out["gen_rmat"] = lambda spark, d: generators.rmat(spark, 8, 2048, 42)
+    out["gen_er"] = lambda spark, d: generators.erdos_renyi(spark, 256, 1024, 42)
+    out["gen_lattice"] = lambda spark, d: generators.lattice(spark, 16, 16, 42)
+    out["knn_embedding_knn"] = lambda spark, d: VIEWS["embedding_knn"](spark, d)
+    return out | relational.queries() | batches.queries()
