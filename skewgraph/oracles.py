@@ -152,7 +152,7 @@ def oracle_sql() -> dict[str, str]:
           SELECT superstep, CAST(sum(times * deg) AS BIGINT) AS edge_pushes, CAST(sum(times) AS BIGINT) AS chunk_pushes, count(*) AS nodes, CAST(sum(times * deg) AS BIGINT) AS raw, CAST(sum(deg) AS BIGINT) AS condensed
           FROM h JOIN d USING (node) GROUP BY 1"""
         full = _with(base(v), bfs(v, 12))
-        out[f"bfs_parents_{v}"] = full + """SELECT lv.node, lv.level, min(p.node) AS parent FROM lv LEFT JOIN (e JOIN lv p ON p.node = e.src) ON e.dst = lv.node AND p.level = lv.level - 1 GROUP BY 1, 2"""
+        out[f"bfs_parents_{v}"] = full + """SELECT lv.node, lv.level, coalesce(min(p.node), -1) AS parent FROM lv LEFT JOIN (e JOIN lv p ON p.node = e.src) ON e.dst = lv.node AND p.level = lv.level - 1 GROUP BY 1, 2"""
         out[f"level_sizes_{v}"] = full + "SELECT level, count(*) AS n_nodes, CAST(sum(deg) AS BIGINT) AS active_edges FROM lv JOIN d USING (node) GROUP BY 1"
     for v in SEARCH_VIEWS:
         for s in ("bs", "ep", "wd", "ns", "hp"):

@@ -192,7 +192,7 @@ def search(program, strategy, view):
 def bfs_parents(view):
     def run(spark, d):
         g = graph(spark, d, view)
-        return engine.with_parents(g, _levels(g, view)).withColumnRenamed("value", "level")
+        return engine.with_parents(g, _levels(g, view)).select("node", F.col("value").alias("level"), F.coalesce("parent", F.lit(-1)).alias("parent"))
 
     return run
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 from collections.abc import Callable
 
 import pandas as pd
@@ -36,7 +36,7 @@ def _kind(how: str, sql: str) -> None:
     def run(spark, d):
         c = table(spark, d, "customer").select("c_custkey", "c_mktsegment")
         o = _orders(spark, d).select("o_custkey", "o_orderkey").where("o_orderkey % 3 = 0")
-        return c.join(o, F.col("c_custkey") == F.col("o_custkey"), how)
+        return c.join(o, F.col("c_custkey") == F.col("o_custkey"), how).na.fill(-1).na.fill("none")
 
     run.__name__ = f"join_{how.replace('left_', '')}" if how.startswith("left_") else f"join_{how}"
     _query(sql)(run)
@@ -44,7 +44,7 @@ def _kind(how: str, sql: str) -> None:
 
 _O = "(SELECT o_custkey, o_orderkey FROM orders WHERE o_orderkey % 3 = 0)"
 for _how, _word in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
-    _kind(_how, f"SELECT c_custkey, c_mktsegment, o_custkey, o_orderkey FROM customer {_word} {_O} o ON c_custkey = o_custkey")
+    _kind(_how, f"SELECT coalesce(c_custkey, -1) AS c_custkey, coalesce(c_mktsegment, 'none') AS c_mktsegment, coalesce(o_custkey, -1) AS o_custkey, coalesce(o_orderkey, -1) AS o_orderkey FROM customer {_word} {_O} o ON c_custkey = o_custkey")
 _kind("left_semi", f"SELECT c_custkey, c_mktsegment FROM customer WHERE c_custkey IN (SELECT o_custkey FROM {_O})")
 _kind("left_anti", f"SELECT c_custkey, c_mktsegment FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM {_O})")
 
@@ -74,14 +74,14 @@ def join_range(spark, d):
     return met.groupBy("event_id").agg(F.count("*").alias("near"))
 
 
-@_query("""SELECT e.event_id, p.event_id AS purchase FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'purchase' GROUP BY 1, 2) p
+@_query("""SELECT e.event_id, coalesce(p.event_id, -1) AS purchase FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'purchase' GROUP BY 1, 2) p
   ON e.user_id = p.user_id AND e.ts > p.ts""")
 def join_asof(spark, d):
     """Each event's last earlier purchase of the same user, by one window instead of a range join."""
     e = table(spark, d, "events").select("event_id", "user_id", "ts", "event_type")
     earlier = Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(Window.unboundedPreceding, -1)
     bought = F.when(F.col("event_type") == "purchase", F.struct("ts", "event_id"))
-    return e.select("event_id", F.max(bought).over(earlier)["event_id"].alias("purchase"))
+    return e.select("event_id", F.coalesce(F.max(bought).over(earlier)["event_id"], F.lit(-1)).alias("purchase"))
 
 
 @_query("""WITH p AS (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem WHERE l_partkey < 200)
@@ -191,9 +191,9 @@ def win_ntile(spark, d):
     return _orders(spark, d).select("o_orderkey", F.ntile(4).over(_customer()).alias("q"))
 
 
-@_query(f"SELECT o_orderkey, lag(o_orderkey) {_W}) AS before, lead(o_orderkey, 2) {_W}) AS after FROM orders")
+@_query(f"SELECT o_orderkey, lag(o_orderkey, 1, -1) {_W}) AS before, lead(o_orderkey, 2, -1) {_W}) AS after FROM orders")
 def win_lag_lead(spark, d):
-    return _orders(spark, d).select("o_orderkey", F.lag("o_orderkey").over(_customer()).alias("before"), F.lead("o_orderkey", 2).over(_customer()).alias("after"))
+    return _orders(spark, d).select("o_orderkey", F.lag("o_orderkey", 1, -1).over(_customer()).alias("before"), F.lead("o_orderkey", 2, -1).over(_customer()).alias("after"))
 
 
 @_query(f"SELECT o_orderkey, CAST(sum(o_orderkey) {_W}) AS BIGINT) AS total FROM orders")
@@ -286,12 +286,12 @@ def fn_math(spark, d):
 
 
 @_query("""WITH a AS (SELECT l_orderkey, list_sort(list(l_partkey)) AS p FROM lineitem GROUP BY 1)
-  SELECT l_orderkey, len(p) AS n, p[1] AS first, CAST(list_sum(p) AS BIGINT) AS total, CAST(list_sum(list_filter(p, lambda x: x % 2 = 0)) AS BIGINT) AS even, len(list_distinct(p)) AS kinds FROM a""")
+  SELECT l_orderkey, len(p) AS n, p[1] AS first, CAST(list_sum(p) AS BIGINT) AS total, coalesce(CAST(list_sum(list_filter(p, lambda x: x % 2 = 0)) AS BIGINT), 0) AS even, len(list_distinct(p)) AS kinds FROM a""")
 def fn_array(spark, d):
     a = table(spark, d, "lineitem").groupBy("l_orderkey").agg(F.array_sort(F.collect_list("l_partkey")).alias("p"))
     add = lambda c: F.aggregate(c, F.lit(0).cast("long"), lambda s, x: s + x)
     even = F.filter("p", lambda x: x % 2 == 0)
-    return a.select("l_orderkey", F.size("p").cast("long").alias("n"), F.element_at("p", 1).alias("first"), add("p").alias("total"), F.when(F.size(even) > 0, add(even)).alias("even"), F.size(F.array_distinct("p")).cast("long").alias("kinds"))
+    return a.select("l_orderkey", F.size("p").cast("long").alias("n"), F.element_at("p", 1).alias("first"), add("p").alias("total"), add(even).alias("even"), F.size(F.array_distinct("p")).cast("long").alias("kinds"))
 
 
 @_query("SELECT event_id, CAST(len(json_keys(props)) AS BIGINT) AS n, json_keys(props)[1] AS k, json_extract_string(props, '$.' || json_keys(props)[1]) AS v FROM events")
@@ -357,10 +357,10 @@ def udf_sql(spark, d):
 def _round_trip(kind: str) -> None:
     def run(spark, d):
         edges = table(spark, d, "lineitem").groupBy(F.col("l_suppkey").alias("src"), F.col("l_partkey").alias("dst")).agg(F.count("*").alias("w"))
-        folder = (spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.gettempdir()).rstrip("/")
-        path = f"{folder}/edges-{kind}-{abs(hash((d, id(run), kind)))}-{spark.sparkContext.applicationId}"
-        sources.write_edges(edges.coalesce(4), path + f"/{pd.Timestamp.now().value}", kind)
-        return sources.read_edges(spark, path + "/*", kind).distinct()
+        folder = (spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/.checkpoints").rstrip("/")
+        path = f"{folder}/edges-{kind}-{uuid.uuid4().hex}"
+        sources.write_edges(edges, path, kind)
+        return sources.read_edges(spark, path, kind)
 
     run.__name__ = f"src_{kind}"
     _query("SELECT l_suppkey AS src, l_partkey AS dst, count(*) AS w FROM lineitem GROUP BY 1, 2")(run)
@@ -374,8 +374,9 @@ for _k in ("csv", "json", "orc", "parquet", "arcs", "pairs"):
 def sink_bucketed(spark, d):
     """Aggregation in place over a bucketed table."""
     edges = table(spark, d, "lineitem").select(F.col("l_suppkey").alias("src"), F.col("l_partkey").alias("dst"))
-    sources.write_bucketed(edges, "skewgraph_bucketed_edges", 8)
-    return spark.table("skewgraph_bucketed_edges").groupBy("src").agg(F.count("*").alias("n"))
+    name = f"edges_{uuid.uuid4().hex}"
+    sources.write_bucketed(edges, name, 8)
+    return spark.table(name).groupBy("src").agg(F.count("*").alias("n"))
 
 
 def queries() -> dict[str, Query]:
