@@ -23,6 +23,10 @@ from pyspark.sql import functions as F
 
 #: Rows of one signature that a task compares at once; larger groups meet chunk by chunk.
 GROUP = 4096
+#: Work of dealing out one signature row, in comparisons of two fingerprints.
+ROW_COST = 500.0
+#: Cells in which signatures are counted together before any is counted alone.
+CELLS = 1 << 18
 #: Segments up to this many rows are compared by shifting whole batches.
 _SHORT = 128
 _PARTS = (2, 3, 4)
@@ -115,7 +119,7 @@ def allocate(n: int, together: np.ndarray, k: int, parts: Iterable[int] = _PARTS
             row = [0.0]
             for t in range(k + 1):
                 probes = sum(_choose(len(g), d) for d in range(t + 1))
-                row.append(60.0 * n * (probes + (t > 0)) + near[t] * n * n / 2)
+                row.append(ROW_COST * n * probes + near[t] * n * n / 2)
             costs.append(row)
         table: dict[int, tuple[float, tuple[int, ...]]] = {0: (0.0, ())}
         for row in costs:
@@ -152,7 +156,10 @@ def signatures(fps: DataFrame, plan: Plan) -> DataFrame:
 
 def spread(sigs: DataFrame, group: int = GROUP) -> DataFrame:
     """The signatures' rows with hot signatures cut into chunks that meet two by two."""
-    hot = sigs.groupBy("sig").count().where(F.col("count") > group).select("sig", F.ceil(F.col("count") / (group // 2)).cast("int").alias("chunks"))
+    cells = sigs.groupBy(F.pmod("sig", F.lit(CELLS)).alias("cell")).count().where(F.col("count") > group).select("cell")
+    if cells.isEmpty():  # no signature has more rows than its cell
+        return sigs
+    hot = sigs.join(cells, F.pmod("sig", F.lit(CELLS)) == F.col("cell"), "left_semi").groupBy("sig").count().where(F.col("count") > group).select("sig", F.ceil(F.col("count") / (group // 2)).cast("int").alias("chunks"))
     if hot.isEmpty():
         return sigs
     own = F.pmod(F.xxhash64("id", F.lit(7)), F.col("chunks")).cast("int")

@@ -1,7 +1,7 @@
 """Fuzzy line deduplication over the corpus (operator 6).
 
 Lines are normalised (lower case, digits alike, ASCII punctuation dropped, white space even) and get a
-SimHash of their words and word pairs.  Equal normalised lines collapse first.  Lines whose SimHashes are
+SimHash of their words.  Equal normalised lines collapse first.  Lines whose SimHashes are
 within ``k`` bits share a pigeonhole block; only those that have such a partner bring their text, and a
 pair counts if its edit similarity reaches ``similarity``.  Of each connected group the first occurrence
 stays and all others go.
@@ -52,15 +52,6 @@ def _lowered(text: bytes) -> list[bytes]:
     return text.decode().lower().encode().split(b"\n")
 
 
-def _features(hashes: list[int]) -> np.ndarray:
-    one = np.array(hashes, np.uint64)
-    with np.errstate(over="ignore"):
-        two = (one[:-1] * np.uint64(0x9E3779B97F4A7C15)) ^ (one[1:] * np.uint64(0xC2B2AE3D27D4EB4F))
-        two ^= two >> np.uint64(32)
-        two *= np.uint64(0xD6E8FEB86659FD93)
-    return np.concatenate([one, two])
-
-
 def edit_distance(a: str, b: str) -> int:
     """Levenshtein distance by bit-parallel columns; common ends are cut first."""
     start, most = 0, min(len(a), len(b))
@@ -95,26 +86,29 @@ def alike(a: str, b: str, similarity: float) -> bool:
     return abs(len(a) - len(b)) <= most and edit_distance(a, b) <= most
 
 
-LINES = "doc_id long, line int, h long, fp long"
+LINES = "doc_id long, line int, h long, raw long, fp long"
 
 
 def line_hashes(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """``doc_id``, ``line`` (from 0), ``h`` (of the normalised line), ``fp`` (its SimHash) of every line of ``min_words`` or more."""
+    """``doc_id``, ``line`` (from 0), ``h`` (of the normalised line), ``raw`` (Spark's ``xxhash64`` of the line), ``fp`` (SimHash) of every line of ``min_words`` or more."""
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "text"):
-            doc_ids, numbers, keys, parts = [], [], [], []
+            doc_ids, numbers, keys, raw, every, sizes = [], [], [], [], [], []
             for doc, text in zip(batch.column("doc_id").to_pylist(), texts, strict=True):
-                for i, line in enumerate(_lowered(text)):
+                given = text.split(b"\n")
+                for i, line in enumerate(given if text.isascii() and text.islower() else _lowered(text)):
                     if len(line) >= 2 * min_words - 1 and len(words := normal_words(line)) >= min_words:
                         doc_ids.append(doc)
                         numbers.append(i)
                         keys.append(xxh64_intdigest(b" ".join(words)))
-                        parts.append(_features([*map(_HASHES.__getitem__, words)]))
+                        raw.append(xxh64_intdigest(given[i], 42))
+                        every += words
+                        sizes.append(len(words))
             if doc_ids:
-                fp = majority(np.concatenate(parts), np.array([len(x) for x in parts], np.int64))
-                cols = [pa.array(doc_ids, pa.int64()), pa.array(numbers, pa.int32()), pa.array(np.array(keys, np.uint64).view(np.int64)), pa.array(fp.view(np.int64))]
-                yield pa.RecordBatch.from_arrays(cols, ["doc_id", "line", "h", "fp"])
+                fp = majority(np.fromiter(map(_HASHES.__getitem__, every), np.uint64, len(every)), np.array(sizes, np.int64))
+                hashes = (np.array(x, np.uint64).view(np.int64) for x in (keys, raw))
+                yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(numbers, pa.int32()), *map(pa.array, hashes), pa.array(fp.view(np.int64))], ["doc_id", "line", "h", "raw", "fp"])
 
     return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(work, LINES)
 
@@ -174,7 +168,7 @@ def line_links(docs: DataFrame, distinct: DataFrame, k: int = K, similarity: flo
 
 
 def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> DataFrame:
-    """``doc_id``, ``gone`` (array of line, h): each document's lines of which another occurrence stays."""
+    """``doc_id``, ``gone`` (array of line, raw): each document's lines of which another occurrence stays."""
     lines = Shared(line_hashes(docs, min_words), "lines")
     first = F.min(F.struct("doc_id", "line")).alias("first")
     distinct = Shared(lines.frame.groupBy("h").agg(first, F.min("fp").alias("fp"), F.count("*").alias("n")).select(F.col("h").alias("id"), "fp", "first.doc_id", "first.line", "n"), "distinct-lines")
@@ -184,7 +178,7 @@ def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_wo
     several = placed.groupBy("root").agg(first, F.sum("n").alias("n")).where("n > 1").select("root", "first")
     stays = placed.join(several, "root").select(F.col("id").alias("h"), F.col("first.doc_id").alias("_doc"), F.col("first.line").alias("_line"))
     gone = lines.frame.join(stays, "h").where("doc_id <> _doc or line <> _line")
-    return gone.groupBy("doc_id").agg(F.collect_set(F.struct("line", "h")).alias("gone"))
+    return gone.groupBy("doc_id").agg(F.collect_list(F.struct("line", "raw")).alias("gone"))
 
 
 def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> DataFrame:
@@ -195,30 +189,13 @@ def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words
     up empty but never goes.
     """
     own = removals(docs, k, similarity, min_words).withColumnRenamed("doc_id", "_doc")
-    schema = docs.schema
     joined = docs.join(own, docs["doc_id"] == own["_doc"], "left").drop("_doc")
-    names = [*docs.columns, "n_lines", "n_removed"]
-    place = docs.columns.index("text")
-
-    def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, texts in slices(batches, "text"):
-            nulls = batch.column(place).is_null().to_pylist()
-            out, n_lines, n_removed = [], [], []
-            for text, null, gone in zip(texts, nulls, batch.column("gone").to_pylist(), strict=True):
-                lines = text.decode().split("\n")
-                n_lines.append(0 if null else len(lines))
-                drop = set()
-                for x in gone or ():
-                    if x["line"] < len(lines):
-                        words = normal_words(lines[x["line"]].lower().encode())
-                        if np.uint64(xxh64_intdigest(b" ".join(words))).astype(np.int64) == x["h"]:
-                            drop.add(x["line"])
-                n_removed.append(len(drop))
-                out.append(None if null else "\n".join(line for i, line in enumerate(lines) if i not in drop) if drop else text.decode())
-            cols = [batch.column(i) for i in range(len(names) - 2)]
-            cols[place] = pa.array(out, pa.string())
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(n_lines, pa.int64()), pa.array(n_removed, pa.int64())], names)
-
-    from pyspark.sql.types import LongType, StructType
-
-    return joined.mapInArrow(work, StructType([*schema.fields]).add("n_lines", LongType()).add("n_removed", LongType()))
+    given = F.split("text", "\n")
+    # a row that repeats a doc_id with another text keeps lines that are not the ones meant
+    stays = F.filter(given, lambda x, i: ~F.array_contains("gone", F.struct(i.alias("line"), F.xxhash64(x).alias("raw"))))
+    text = F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(stays, "\n"))
+    n_lines = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(given)).cast("long")
+    left = F.when(F.col("gone").isNull() | F.col("text").isNull(), n_lines).otherwise(F.size(stays)).cast("long")
+    rest = [F.col(c) for c in docs.columns]
+    rest[docs.columns.index("text")] = text.alias("text")
+    return joined.select(*rest, n_lines.alias("n_lines"), (n_lines - left).alias("n_removed"))
