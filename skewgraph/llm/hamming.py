@@ -135,6 +135,11 @@ def allocate(n: int, together: np.ndarray, k: int, parts: Iterable[int] = _PARTS
     return best[1]
 
 
+def equal_blocks(n: int, together: np.ndarray, k: int) -> Plan:
+    """The plain pigeonhole: ``k + 1`` blocks, one of which two fingerprints within ``k`` bits share; correlated bits together."""
+    return Plan(_grouped(together, n, k + 1), (0,) * (k + 1))
+
+
 def _choose(n: int, k: int) -> int:
     out = 1
     for i in range(k):

@@ -1,7 +1,7 @@
 """Fuzzy line deduplication over the corpus (operator 6).
 
 Lines are normalised (lower case, digits alike, ASCII punctuation dropped, white space even) and get a
-SimHash of their words.  Equal normalised lines collapse first.  Lines whose SimHashes are
+SimHash of their longer words.  Equal normalised lines collapse first.  Lines whose SimHashes are
 within ``k`` bits share a pigeonhole block; only those that have such a partner bring their text, and a
 pair counts if its edit similarity reaches ``similarity``.  Of each connected group the first occurrence
 stays and all others go.
@@ -19,13 +19,15 @@ from xxhash import xxh64_intdigest
 
 from .common import Shared, slices
 from .components import components
-from .hamming import allocate, bit_statistics, dealt, links, segments, signatures, spread
+from .hamming import bit_statistics, dealt, equal_blocks, links, segments, signatures, spread
 from .simhash import majority
 
 K = 3
 SIMILARITY = 0.8
 #: Lines of fewer words are left alone: they recur in clean texts.
 MIN_WORDS = 5
+#: Words of up to so many bytes say little about a line: they only count where it has no longer ones.
+SHORT_WORD = 4
 _DROP = bytes(c for c in range(33, 127) if not chr(c).isalnum())
 _DIGITS = bytes.maketrans(b"0123456789", b"0" * 10)
 _CACHE_WORDS = 300_000
@@ -103,8 +105,9 @@ def line_hashes(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
                         numbers.append(i)
                         keys.append(xxh64_intdigest(b" ".join(words)))
                         raw.append(xxh64_intdigest(given[i], 42))
-                        every += words
-                        sizes.append(len(words))
+                        telling = [w for w in words if len(w) > SHORT_WORD] or words
+                        every += telling
+                        sizes.append(len(telling))
             if doc_ids:
                 fp = majority(np.fromiter(map(_HASHES.__getitem__, every), np.uint64, len(every)), np.array(sizes, np.int64))
                 hashes = (np.array(x, np.uint64).view(np.int64) for x in (keys, raw))
@@ -159,7 +162,7 @@ def _verifier(k: int, similarity: float):
 
 def line_links(docs: DataFrame, distinct: DataFrame, k: int = K, similarity: float = SIMILARITY) -> DataFrame:
     """``a``, ``b``: links between distinct lines (``id``, ``fp``, ``doc_id``, ``line``) that are near and alike."""
-    plan = allocate(*bit_statistics(distinct), k)
+    plan = equal_blocks(*bit_statistics(distinct), k)
     near = Shared(links(distinct, k, plan), "near-lines")
     some = near.frame.select(F.col("a").alias("id")).unionByName(near.frame.select(F.col("b").alias("id"))).distinct()
     texts = Shared(_texts_of(docs, distinct.join(some, "id")), "near-line-texts")
