@@ -8,6 +8,7 @@ from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Most bytes of text that an operator holds as Python objects at once (one longer text still goes alone).
 CHUNK_BYTES = 4 << 20
@@ -69,6 +70,19 @@ def shared_folder(spark: SparkSession) -> str:
     return where.rstrip("/")
 
 
+#: Rows up to which a side of a join may be broadcast; beyond, both sides are shuffled.
+BESIDE_ROWS = 1_000_000
+
+
+def beside(frame: DataFrame, weight: str = "1") -> DataFrame:
+    """The frame, marked for broadcast if its rows (or the sum of ``weight`` over them) are few enough.
+
+    The frame is counted, so give it a written table.
+    """
+    n = frame.agg(F.expr(f"sum({weight})")).first()[0] or 0
+    return F.broadcast(frame) if n <= BESIDE_ROWS else frame
+
+
 class Shared:
     """A table written to the shared folder, which cuts lineage and outlives lost executors."""
 

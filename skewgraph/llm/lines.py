@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import Shared, slices
+from .common import Shared, beside, slices
 from .components import components
 from .hamming import bit_statistics, dealt, equal_blocks, links, segments, signatures, spread
 from .simhash import majority
@@ -119,7 +119,7 @@ def line_hashes(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     """``id``, ``fp``, ``text``: the normalised texts of lines ``id``, ``fp``, ``doc_id``, ``line``."""
     by_doc = wanted.groupBy(F.col("doc_id").alias("_doc")).agg(F.collect_list(F.struct("line", "id", "fp")).alias("wanted"))
-    held = docs.select(F.col("doc_id").cast("long"), "text").join(by_doc, F.col("doc_id") == F.col("_doc")).select("text", "wanted")
+    held = docs.select(F.col("doc_id").cast("long"), "text").join(beside(by_doc, "size(wanted)"), F.col("doc_id") == F.col("_doc")).select("text", "wanted")
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "text"):
@@ -165,23 +165,29 @@ def line_links(docs: DataFrame, distinct: DataFrame, k: int = K, similarity: flo
     plan = equal_blocks(*bit_statistics(distinct), k)
     near = Shared(links(distinct, k, plan), "near-lines")
     some = near.frame.select(F.col("a").alias("id")).unionByName(near.frame.select(F.col("b").alias("id"))).distinct()
-    texts = Shared(_texts_of(docs, distinct.join(some, "id")), "near-line-texts")
-    near.drop()
+    wanted = Shared(distinct.join(some, "id"), "near-line-places")
+    texts = Shared(_texts_of(docs, wanted.frame), "near-line-texts")
+    for table in (near, wanted):
+        table.drop()
     return dealt(spread(signatures(texts.frame, plan))).select("sig", "fp", "id", "text").mapInArrow(_verifier(k, similarity), "a long, b long").distinct()
 
 
-def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> DataFrame:
-    """``doc_id``, ``gone`` (array of line, raw): each document's lines of which another occurrence stays."""
+def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> Shared:
+    """A written table ``doc_id``, ``gone`` (array of line, raw): each document's lines of which another occurrence stays."""
     lines = Shared(line_hashes(docs, min_words), "lines")
     first = F.min(F.struct("doc_id", "line")).alias("first")
     distinct = Shared(lines.frame.groupBy("h").agg(first, F.min("fp").alias("fp"), F.count("*").alias("n")).select(F.col("h").alias("id"), "fp", "first.doc_id", "first.line", "n"), "distinct-lines")
-    groups = components(line_links(docs, distinct.frame, k, similarity), "line-groups").frame
+    linked = components(line_links(docs, distinct.frame, k, similarity), "line-groups")
+    groups = linked.frame
     members = groups.unionByName(groups.select(F.col("root").alias("id"), "root").distinct())
     placed = distinct.frame.join(members, "id", "left").withColumn("root", F.coalesce("root", "id"))
     several = placed.groupBy("root").agg(first, F.sum("n").alias("n")).where("n > 1").select("root", "first")
     stays = placed.join(several, "root").select(F.col("id").alias("h"), F.col("first.doc_id").alias("_doc"), F.col("first.line").alias("_line"))
     gone = lines.frame.join(stays, "h").where("doc_id <> _doc or line <> _line")
-    return gone.groupBy("doc_id").agg(F.collect_list(F.struct("line", "raw")).alias("gone"))
+    result = Shared(gone.groupBy("doc_id").agg(F.collect_list(F.struct("line", "raw")).alias("gone")), "gone-lines")
+    for table in (lines, distinct, linked):
+        table.drop()
+    return result
 
 
 def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> DataFrame:
@@ -191,7 +197,7 @@ def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words
     they are, null texts too; rows that repeat a ``doc_id`` and text keep the same lines; a document may end
     up empty but never goes.
     """
-    own = removals(docs, k, similarity, min_words).withColumnRenamed("doc_id", "_doc")
+    own = beside(removals(docs, k, similarity, min_words).frame.withColumnRenamed("doc_id", "_doc"), "size(gone)")
     joined = docs.join(own, docs["doc_id"] == own["_doc"], "left").drop("_doc")
     given = F.split("text", "\n")
     # a row that repeats a doc_id with another text keeps lines that are not the ones meant

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, words_of
+from .common import Shared, beside, slices, words_of
 
 BUCKETS = 1 << 16
 #: Mean log-ratio below which a document goes.
@@ -126,9 +126,8 @@ def fit(docs: DataFrame, trusted: DataFrame, buckets: int = BUCKETS, prior: floa
     ``doc_id`` of trusted documents, repeats and nulls allowed.  Without any trusted text all log-ratios
     are zero.  The trusted cells are smoothed towards the raw distribution by ``prior`` n-grams.
     """
-    marked = docs.select("doc_id", "text").join(
-        trusted.select(F.col("doc_id").alias("_id")).where("_id is not null").distinct(), F.col("doc_id") == F.col("_id"), "left"
-    )
+    ids = Shared(trusted.select(F.col("doc_id").alias("_id")).where("_id is not null").distinct(), "trusted")
+    marked = docs.select("doc_id", "text").join(beside(ids.frame), F.col("doc_id") == F.col("_id"), "left")
     rows = (
         marked.select("text", F.col("_id").isNotNull().alias("trusted"))
         .mapInArrow(_counter(buckets), "cell int, trusted long, raw long")
@@ -136,6 +135,7 @@ def fit(docs: DataFrame, trusted: DataFrame, buckets: int = BUCKETS, prior: floa
         .agg(F.sum("trusted").alias("trusted"), F.sum("raw").alias("raw"))
         .toArrow()
     )
+    ids.drop()
     trusted_n, raw_n = np.zeros(buckets), np.zeros(buckets)
     at = rows["cell"].to_numpy()
     trusted_n[at], raw_n[at] = rows["trusted"].to_numpy(), rows["raw"].to_numpy()

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import Shared, slices, words_of
+from .common import Shared, beside, slices, words_of
 from .components import components
 from .hamming import dealt, links, roots, segments, spread
 
@@ -161,8 +161,8 @@ def _verifier(k: int, similarity: float):
     return work
 
 
-def similar_groups(docs: DataFrame, width: int = 5, k: int = 7, similarity: float = 0.8) -> DataFrame:
-    """``doc_id``, ``component_id`` of every row with words: the least ``doc_id`` that similar texts reach.
+def similar_groups(docs: DataFrame, width: int = 5, k: int = 7, similarity: float = 0.8) -> Shared:
+    """A written table ``doc_id``, ``component_id`` of every row with words: the least ``doc_id`` that similar texts reach.
 
     Two texts are similar if the Jaccard similarity of their distinct ``width``-word shingles reaches
     ``similarity`` and the SimHashes of their distinct words are within ``k`` bits.  Texts of the same words
@@ -172,13 +172,15 @@ def similar_groups(docs: DataFrame, width: int = 5, k: int = 7, similarity: floa
     distinct = Shared(own.frame.groupBy("h").agg(F.min("doc_id").alias("id"), F.first("fp").alias("fp")), "distinct-texts")
     near = components(links(distinct.frame, k), "near-groups")
     members = near.frame.select("id", F.col("root").alias("sig")).unionByName(near.frame.select(F.col("root").alias("id"), F.col("root").alias("sig")).distinct())
-    sets = Shared(_shingle_sets(docs, distinct.frame.join(members, "id"), width), "shingle-sets")
+    wanted = Shared(distinct.frame.join(members, "id"), "near-texts")
+    sets = Shared(_shingle_sets(docs, beside(wanted.frame), width), "shingle-sets")
     found = dealt(spread(sets.frame, VERIFY_GROUP)).select("sig", "fp", "id", "shingles").mapInArrow(_verifier(k, similarity), "a long, b long")
     groups = components(found, "similar-groups")
-    for table in (near, sets):
-        table.drop()
     classes = distinct.frame.join(groups.frame, "id", "left").select("h", F.coalesce("root", "id").alias("component_id"))
-    return own.frame.join(classes, "h").select("doc_id", "component_id")
+    result = Shared(own.frame.join(classes, "h").select("doc_id", "component_id"), "similar")
+    for table in (own, distinct, near, wanted, sets, groups):
+        table.drop()
+    return result
 
 
 def keep_one(docs: DataFrame, width: int = 5, k: int = 7, similarity: float = 0.8) -> DataFrame:
@@ -187,8 +189,8 @@ def keep_one(docs: DataFrame, width: int = 5, k: int = 7, similarity: float = 0.
     Texts without words are no copies of one another; of rows that repeat a ``doc_id`` with the same text one
     stays; rows without a ``doc_id`` stay.
     """
-    found = Shared(similar_groups(docs, width, k, similarity), "similar")
-    gone = found.frame.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct()
+    found = similar_groups(docs, width, k, similarity)
+    gone = beside(Shared(found.frame.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct(), "gone").frame)
     kept = docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
     if found.frame.groupBy("doc_id").count().where("count > 1").isEmpty():
         return kept
