@@ -119,7 +119,7 @@ def allocate(n: int, together: np.ndarray, k: int, parts: Iterable[int] = _PARTS
             row = [0.0]
             for t in range(k + 1):
                 probes = sum(_choose(len(g), d) for d in range(t + 1))
-                row.append(ROW_COST * n * probes + near[t] * n * n / 2)
+                row.append(ROW_COST * max(n, 1) * probes + near[t] * n * n / 2)
             costs.append(row)
         table: dict[int, tuple[float, tuple[int, ...]]] = {0: (0.0, ())}
         for row in costs:
