@@ -190,8 +190,8 @@ def roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return root
 
 
-def _pairs(sig: np.ndarray, fp: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """Index pairs within ``k`` bits among rows sorted by signature."""
+def _pairs(sig: np.ndarray, fp: np.ndarray, k: int, size: np.ndarray, ratio: float) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs within ``k`` bits, and of sizes within ``ratio``, among rows sorted by signature."""
     n = len(sig)
     starts = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]]))
     sizes = np.diff(np.append(starts, n))
@@ -201,6 +201,7 @@ def _pairs(sig: np.ndarray, fp: np.ndarray, k: int) -> tuple[np.ndarray, np.ndar
         at = np.flatnonzero((sig[d:] == sig[:-d]) & (size_of[:-d] <= _SHORT))
         if len(at):
             at = at[np.bitwise_count(fp[at] ^ fp[at + d]) <= k]
+            at = at[np.minimum(size[at], size[at + d]) >= ratio * np.maximum(size[at], size[at + d])]
             left.append(at)
             right.append(at + d)
     for s, m in zip(starts[sizes > _SHORT], sizes[sizes > _SHORT], strict=True):
@@ -208,6 +209,8 @@ def _pairs(sig: np.ndarray, fp: np.ndarray, k: int) -> tuple[np.ndarray, np.ndar
         free = np.arange(m)
         for i in range(0, m, 256):  # what is found linked to an earlier block is not paired up again
             near = np.bitwise_count(own[i : i + 256, None] ^ own[None, :]) <= k
+            a, b = size[s : s + m][i : i + 256, None], size[s : s + m][None, :]
+            near &= np.minimum(a, b) >= ratio * np.maximum(a, b)
             x, y = np.nonzero(near)
             keep = x + i < y
             x, y = x[keep] + i, y[keep]
@@ -243,13 +246,13 @@ def segments(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
-def _linker(k: int):
+def _linker(k: int, ratio: float):
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in segments(batches):
-            sig, fp, ids = (part[c].to_numpy() for c in ("sig", "fp", "id"))
+            sig, fp, ids, size = (part[c].to_numpy() for c in ("sig", "fp", "id", "size"))
             order = np.lexsort((ids, sig))  # the least id of a group is its root
-            sig, fp, ids = sig[order], fp[order], ids[order]
-            root = roots(len(sig), *_pairs(sig, fp, k))
+            sig, fp, ids, size = sig[order], fp[order], ids[order], size[order]
+            root = roots(len(sig), *_pairs(sig, fp, k, size, ratio))
             at = np.flatnonzero(ids[root] != ids)
             yield pa.RecordBatch.from_arrays([pa.array(ids[at]), pa.array(ids[root[at]])], ["a", "b"])
 
@@ -261,10 +264,13 @@ def dealt(sigs: DataFrame) -> DataFrame:
     return sigs.repartition("sig").sortWithinPartitions("sig")
 
 
-def links(fps: DataFrame, k: int = 3, plan: Plan | None = None, group: int = GROUP) -> DataFrame:
+def links(fps: DataFrame, k: int = 3, plan: Plan | None = None, group: int = GROUP, ratio: float = 0.0) -> DataFrame:
     """``a``, ``b``: links that join every two fingerprints within ``k`` bits, directly or over others within them.
 
-    ``fps``: ``id``, ``fp`` (long), read several times: give it a written table.
+    ``fps``: ``id``, ``fp`` (long), read several times: give it a written table.  With a ``ratio``, only pairs whose
+    ``size`` columns are within it are linked: sets of that similarity can't differ more in size.
     """
     plan = plan or allocate(*bit_statistics(fps), k)
-    return dealt(spread(signatures(fps.select("id", "fp"), plan), group)).select("sig", "fp", "id").mapInArrow(_linker(k), "a long, b long").distinct()
+    size = F.col("size").cast("long") if ratio else F.lit(1).cast("long").alias("size")
+    rows = fps.select("id", "fp", size)
+    return dealt(spread(signatures(rows, plan), group)).select("sig", "fp", "id", "size").mapInArrow(_linker(k, ratio), "a long, b long").distinct()

@@ -82,8 +82,8 @@ def near_duplicates(docs: DataFrame, width: int = 5, k: int = 3) -> DataFrame:
 VERIFY_GROUP = 1024
 
 
-def word_fingerprints(docs: DataFrame) -> DataFrame:
-    """``doc_id``, ``fp``, ``h`` of every text that has words and a ``doc_id``: the SimHash of its distinct words, the digest of all.
+def word_fingerprints(docs: DataFrame, width: int) -> DataFrame:
+    """``doc_id``, ``fp``, ``h``, ``size`` of every text that has words and a ``doc_id``: the SimHash of its distinct words, the digest of all, its distinct shingles.
 
     An edited word touches one feature here but up to ``width`` shingles, so texts that share most shingles are
     much nearer in these bits than in a SimHash of the shingles.
@@ -95,10 +95,11 @@ def word_fingerprints(docs: DataFrame) -> DataFrame:
             parts = [np.array([xxh64_intdigest(w, SEED) for w in set(x)], np.uint64) for x in words]
             fp = majority(np.concatenate(parts), np.array([len(x) for x in parts], np.int64))
             digest = np.array([xxh64_intdigest(b" ".join(x), SEED) for x in words], np.uint64)
-            table = pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(fp.view(np.int64)), pa.array(digest.view(np.int64))], ["doc_id", "fp", "h"])
+            size = pa.array([len(set(zip(*(x[i:] for i in range(width))))) if len(x) > width else 1 for x in words], pa.int64())  # noqa: B905
+            table = pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(fp.view(np.int64)), pa.array(digest.view(np.int64)), size], ["doc_id", "fp", "h", "size"])
             yield table.filter(pa.array([bool(x) for x in words]))
 
-    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(work, "doc_id long, fp long, h long")
+    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(work, "doc_id long, fp long, h long, size long")
 
 
 def _shingle_sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
@@ -113,7 +114,7 @@ def _shingle_sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("sig", "id", "fp")), sets], ["sig", "id", "fp", "shingles"]).filter(keep)
 
     held = docs.select(F.col("doc_id").cast("long"), "text").join(wanted, F.col("doc_id") == F.col("id")).select("sig", "id", "fp", "h", "text")
-    return held.mapInArrow(work, "sig long, id long, fp long, shingles binary").dropDuplicates(["id"])
+    return held.mapInArrow(work, "sig long, id long, fp long, shingles binary")
 
 
 def _common(sets: list[np.ndarray], near: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray]:
@@ -168,9 +169,9 @@ def similar_groups(docs: DataFrame, width: int = 5, k: int = 7, similarity: floa
     ``similarity`` and the SimHashes of their distinct words are within ``k`` bits.  Texts of the same words
     collapse first; only texts with a near fingerprint bring their shingles, once each.
     """
-    own = Shared(word_fingerprints(docs), "word-fingerprints")
-    distinct = Shared(own.frame.groupBy("h").agg(F.min("doc_id").alias("id"), F.first("fp").alias("fp")), "distinct-texts")
-    near = components(links(distinct.frame, k), "near-groups")
+    own = Shared(word_fingerprints(docs, width), "word-fingerprints")
+    distinct = Shared(own.frame.groupBy("h").agg(F.min("doc_id").alias("id"), F.first("fp").alias("fp"), F.first("size").alias("size")), "distinct-texts")
+    near = components(links(distinct.frame, k, ratio=similarity - 1e-9), "near-groups")
     members = near.frame.select("id", F.col("root").alias("sig")).unionByName(near.frame.select(F.col("root").alias("id"), F.col("root").alias("sig")).distinct())
     wanted = Shared(distinct.frame.join(members, "id"), "near-texts")
     sets = Shared(_shingle_sets(docs, beside(wanted.frame), width), "shingle-sets")
