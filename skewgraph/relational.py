@@ -8,6 +8,7 @@ from collections.abc import Callable
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType
 
 from . import sources
 from .operators.salted import salted_count, salted_join
@@ -314,12 +315,12 @@ def fn_conditional(spark, d):
     return table(spark, d, "customer").select("c_custkey", F.when(b < 0, "debt").when(b.between(0, 5000), "some").otherwise("much").alias("k"), F.coalesce(F.nullif(s, F.lit("BUILDING")), F.lit("none")).alias("s"), s.isin("AUTOMOBILE", "MACHINERY").alias("i"), F.col("c_name").like("%9").alias("l"))
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def _cost(quantity: pd.Series, size: pd.Series) -> pd.Series:
     return (quantity * 3 + size).astype("int64")
 
 
-@F.arrow_udf("long")
+@F.arrow_udf(LongType())
 def _arrow_cost(quantity, size):
     import pyarrow.compute as pc
 

@@ -12,7 +12,7 @@ from pyspark.sql.types import StructType
 from ..sources import table
 
 Query = Callable[[SparkSession, str], DataFrame]
-SCHEMA = StructType.fromDDL("event_id long, ts timestamp, user_id long, event_type string, value double, props string")
+SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
 
 def folder(spark: SparkSession) -> str:
