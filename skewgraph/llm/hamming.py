@@ -21,6 +21,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import Shared, beside
+
 #: Rows of one signature that a task compares at once; larger groups meet chunk by chunk.
 GROUP = 4096
 #: Work of dealing out one signature row, in comparisons of two fingerprints.
@@ -160,13 +162,21 @@ def signatures(fps: DataFrame, plan: Plan) -> DataFrame:
 
 
 def spread(sigs: DataFrame, group: int = GROUP) -> DataFrame:
-    """The signatures' rows with hot signatures cut into chunks that meet two by two."""
-    cells = sigs.groupBy(F.pmod("sig", F.lit(CELLS)).alias("cell")).count().where(F.col("count") > group).select("cell")
-    if cells.isEmpty():  # no signature has more rows than its cell
+    """The signatures' rows with hot signatures cut into chunks that meet two by two.
+
+    The cells, ``CELLS`` rows at most, are broadcast, so only sums move until the hot signatures are known; those are
+    one row for each ``group`` rows at most, and are broadcast only if few enough.
+    """
+    cell = F.pmod("sig", F.lit(CELLS))
+    cells = Shared(sigs.groupBy(cell.alias("cell")).count().where(F.col("count") > group).select("cell"), "hot-cells")
+    if cells.frame.isEmpty():  # no signature has more rows than its cell
         return sigs
-    hot = sigs.join(cells, F.pmod("sig", F.lit(CELLS)) == F.col("cell"), "left_semi").groupBy("sig").count().where(F.col("count") > group).select("sig", F.ceil(F.col("count") / (group // 2)).cast("int").alias("chunks"))
-    if hot.isEmpty():
+    counts = sigs.join(F.broadcast(cells.frame), cell == F.col("cell"), "left_semi").groupBy("sig").count()
+    table = Shared(counts.where(F.col("count") > group).select("sig", F.ceil(F.col("count") / (group // 2)).cast("int").alias("chunks")), "hot-signatures")
+    cells.drop()
+    if table.frame.isEmpty():
         return sigs
+    hot = beside(table.frame)
     own = F.pmod(F.xxhash64("id", F.lit(7)), F.col("chunks")).cast("int")
     met = F.when(F.col("chunks").isNull(), F.array(F.lit(None).cast("int"))).otherwise(F.sequence(F.lit(0), F.col("chunks") - 1))
     return (
