@@ -184,4 +184,5 @@ def oracle_sql() -> dict[str, str]:
     out["gen_er"] = f"SELECT {s} % 256 AS src, {d} % 256 AS dst, {w} % 50 + 1 AS w FROM range(1024) r(i)"
     out["gen_lattice"] = f"""WITH n AS (SELECT i AS a, i + 1 AS b FROM range(256) r(i) WHERE (i + 1) % 16 <> 0 UNION ALL SELECT i, i + 16 FROM range(256) r(i) WHERE i + 16 < 256),
       one AS (SELECT a AS src, b AS dst, {num('a', 'b')} % 50 + 1 AS w FROM n) {BOTH}"""
+    out["udtf_split_node"], out["udtf_frontier_blocks"] = out["ns_split_part_next"], out["wd_blocks_example"]
     return out | relational.oracle_sql() | batches.oracle_sql()

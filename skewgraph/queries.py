@@ -10,8 +10,9 @@ from pyspark.sql import functions as F
 from . import generators, relational
 from .functions import loads as ld
 from .functions import measures as ms
+from .functions import tables
 from .graph import Graph, to_edges
-from .operators import programs, scan
+from .operators import extras, programs, scan
 from .operators.strategies import Options, blocks, split_edges, split_map
 from .plans import engine
 from .streaming import batches
@@ -259,6 +260,27 @@ def hp_tail_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     return parts[0].unionByName(parts[1])
 
 
+def spanning_forest(view):
+    return lambda spark, d: extras.spanning_forest(graph(spark, d, view).edges)
+
+
+def betweenness(view):
+    """Dependencies on paths from the view's source."""
+    return lambda spark, d: extras.betweenness(graph(spark, d, view), [source(view)])
+
+
+def udtf_split_node(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = graph(spark, sf_dir, "part_next")
+    tables.register(spark)
+    frame = g.degrees().select("node", "deg", F.lit(_mdt(g)).alias("mdt"))
+    return spark.sql("SELECT d.node AS parent, s.child_no, s.part_deg FROM {d} d, LATERAL split_node(d.deg, d.mdt) s", d=frame)
+
+
+def udtf_frontier_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    tables.register(spark)
+    return spark.sql("SELECT * FROM frontier_blocks(TABLE(SELECT * FROM VALUES (1L, 5L), (8L, 7L) t(node, deg)) WITH SINGLE PARTITION ORDER BY (node), 4)")
+
+
 def queries() -> dict[str, Query]:
     out: dict[str, Query] = {}
     for v in STATS_VIEWS:
@@ -287,6 +309,8 @@ def queries() -> dict[str, Query]:
     out["components_event_hub"], out["widest_supplier_part"] = components("event_hub"), widest("supplier_part")
     out["strategies_agree_supplier_part"] = agree("supplier_part")
     out["distributive_check"] = distributive_check
+    out["mst_part_next"], out["betweenness_part_next"] = spanning_forest("part_next"), betweenness("part_next")
+    out |= {f.__name__: f for f in (udtf_split_node, udtf_frontier_blocks)}
     out |= {f.__name__: f for f in (wd_blocks_example, ns_split_example, hp_sublists_example, hp_tail_example)}
     out["gen_rmat"] = lambda spark, d: generators.rmat(spark, 8, 2048, 42)
     out["gen_er"] = lambda spark, d: generators.erdos_renyi(spark, 256, 1024, 42)
