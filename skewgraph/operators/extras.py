@@ -17,8 +17,11 @@ def _tops(picks: DataFrame) -> DataFrame:
     back = picks.select(F.col("a").alias("to"), F.col("to").alias("back"))
     parent = cut(picks.join(back, "to").select("a", F.when((F.col("back") == F.col("a")) & (F.col("a") < F.col("to")), F.col("a")).otherwise(F.col("to")).alias("root")))
     while True:
-        up = parent.select(F.col("a").alias("root"), F.col("root").alias("top"))
-        jumped = cut(parent.join(up, "root").select("a", F.col("top").alias("root"), (F.col("top") != F.col("root")).alias("moved")))
+        far = parent.withColumn("old", F.col("root"))
+        for _ in range(2):  # four links in one job
+            up = far.select(F.col("a").alias("root"), F.col("root").alias("top"))
+            far = far.join(up, "root").select("a", F.col("top").alias("root"), "old")
+        jumped = cut(far.select("a", "root", (F.col("root") != F.col("old")).alias("moved")))
         if jumped.where("moved").isEmpty():
             return jumped.select("a", "root")
         parent = jumped.drop("moved")
