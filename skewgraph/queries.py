@@ -260,10 +260,6 @@ def hp_tail_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     return parts[0].unionByName(parts[1])
 
 
-def spanning_forest(view):
-    return lambda spark, d: extras.spanning_forest(graph(spark, d, view).edges)
-
-
 def betweenness(view):
     """Dependencies on paths from the view's source."""
     return lambda spark, d: extras.betweenness(graph(spark, d, view), [source(view)])
@@ -309,7 +305,7 @@ def queries() -> dict[str, Query]:
     out["components_event_hub"], out["widest_supplier_part"] = components("event_hub"), widest("supplier_part")
     out["strategies_agree_supplier_part"] = agree("supplier_part")
     out["distributive_check"] = distributive_check
-    out["mst_part_next"], out["betweenness_part_next"] = spanning_forest("part_next"), betweenness("part_next")
+    out["betweenness_part_next"] = betweenness("part_next")
     out |= {f.__name__: f for f in (udtf_split_node, udtf_frontier_blocks)}
     out |= {f.__name__: f for f in (wd_blocks_example, ns_split_example, hp_sublists_example, hp_tail_example)}
     out["gen_rmat"] = lambda spark, d: generators.rmat(spark, 8, 2048, 42)
