@@ -200,9 +200,9 @@ def roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return root
 
 
-def _pairs(sig: np.ndarray, fp: np.ndarray, k: int, size: np.ndarray, ratio: float) -> tuple[np.ndarray, np.ndarray]:
+def pairs(sig: np.ndarray, fp: np.ndarray, k: int, size: np.ndarray, ratio: float) -> tuple[np.ndarray, np.ndarray]:
     """Index pairs within ``k`` bits, and of sizes within ``ratio``, among rows sorted by signature."""
-    n = len(sig)
+    n, fp = len(sig), fp.view(np.uint64)  # of signed numbers bitwise_count counts the absolute value
     starts = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]]))
     sizes = np.diff(np.append(starts, n))
     left, right = [], []
@@ -262,7 +262,7 @@ def _linker(k: int, ratio: float):
             sig, fp, ids, size = (part[c].to_numpy() for c in ("sig", "fp", "id", "size"))
             order = np.lexsort((ids, sig))  # the least id of a group is its root
             sig, fp, ids, size = sig[order], fp[order], ids[order], size[order]
-            root = roots(len(sig), *_pairs(sig, fp, k, size, ratio))
+            root = roots(len(sig), *pairs(sig, fp, k, size, ratio))
             at = np.flatnonzero(ids[root] != ids)
             yield pa.RecordBatch.from_arrays([pa.array(ids[at]), pa.array(ids[root[at]])], ["a", "b"])
 

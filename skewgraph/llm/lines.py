@@ -1,10 +1,10 @@
 """Fuzzy line deduplication over the corpus (operator 6).
 
-Lines are normalised (lower case, digits alike, ASCII punctuation dropped, white space even) and get a
-SimHash of their longer words.  Equal normalised lines collapse first.  Lines whose SimHashes are
-within ``k`` bits share a pigeonhole block; only those that have such a partner bring their text, and a
-pair counts if its edit similarity reaches ``similarity``.  Of each connected group the first occurrence
-stays and all others go.
+Lines are normalised (lower case, digits alike, ASCII punctuation dropped, white space even) and get
+``BANDS`` MinHashes of ``ROWS`` values each, and a SimHash, of their longer words.  Equal normalised lines
+collapse first.  Lines that share a band, are of like length and have SimHashes within ``k`` bits are
+candidates; only those that have such a partner bring their text, and a pair counts if its edit similarity
+reaches ``similarity``.  Of each connected group the first occurrence stays and all others go.
 """
 
 from __future__ import annotations
@@ -19,11 +19,14 @@ from xxhash import xxh64_intdigest
 
 from .common import Shared, beside, slices
 from .components import components
-from .hamming import bit_statistics, dealt, equal_blocks, links, segments, signatures, spread
+from .hamming import dealt, pairs, roots, segments, spread
 from .simhash import majority
 
-K = 3
+#: SimHash bits in which candidates may differ: edits of a fifth of the words change about 14, unrelated lines differ in 32.
+K = 23
 SIMILARITY = 0.8
+#: MinHash bands, and values of a band: lines that share 65 % of their longer words meet with a chance of 99 %.
+BANDS, ROWS = 14, 3
 #: Lines of fewer words are left alone: they recur in clean texts.
 MIN_WORDS = 5
 #: Words of up to so many bytes say little about a line: they only count where it has no longer ones.
@@ -46,6 +49,22 @@ class _WordHash(dict):
 _HASHES = _WordHash()
 
 
+_MULTIPLIERS = np.random.default_rng(42).integers(1 << 63, size=BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
+
+
+def bands(hashes: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """``BANDS`` 32-bit digests, each of ``ROWS`` MinHashes, of consecutive non-empty groups of 64-bit hashes."""
+    out = np.zeros((len(sizes), BANDS), np.uint64)
+    starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+    with np.errstate(over="ignore"):
+        mixed = hashes ^ (hashes >> np.uint64(29))
+        for i, by in enumerate(_MULTIPLIERS):
+            least = np.minimum.reduceat(mixed * by, starts)
+            least ^= least >> np.uint64(31)
+            out[:, i % BANDS] = (out[:, i % BANDS] ^ least) * np.uint64(0x9E3779B97F4A7C15)
+    return (out >> np.uint64(32)).astype(np.uint32).view(np.int32)
+
+
 def normal_words(line: bytes) -> list[bytes]:
     return line.translate(_DIGITS, _DROP).split()
 
@@ -88,30 +107,34 @@ def alike(a: str, b: str, similarity: float) -> bool:
     return abs(len(a) - len(b)) <= most and edit_distance(a, b) <= most
 
 
-LINES = "doc_id long, line int, h long, raw long, fp long"
+LINES = "doc_id long, line int, h long, raw long, fp long, size int, bands array<int>"
 
 
 def line_hashes(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """``doc_id``, ``line`` (from 0), ``h`` (of the normalised line), ``raw`` (Spark's ``xxhash64`` of the line), ``fp`` (SimHash) of every line of ``min_words`` or more."""
+    """``doc_id``, ``line`` (from 0), ``h`` (of the normalised line), ``raw`` (Spark's ``xxhash64`` of the line), ``fp`` (SimHash), ``size`` (characters of the normalised line), ``bands`` of every line of ``min_words`` or more."""
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "text"):
-            doc_ids, numbers, keys, raw, every, sizes = [], [], [], [], [], []
+            doc_ids, numbers, keys, raw, lengths, every, sizes = [], [], [], [], [], [], []
             for doc, text in zip(batch.column("doc_id").to_pylist(), texts, strict=True):
                 given = text.split(b"\n")
                 for i, line in enumerate(given if text.isascii() and text.islower() else _lowered(text)):
                     if len(line) >= 2 * min_words - 1 and len(words := normal_words(line)) >= min_words:
                         doc_ids.append(doc)
                         numbers.append(i)
-                        keys.append(xxh64_intdigest(b" ".join(words)))
+                        normal = b" ".join(words)
+                        keys.append(xxh64_intdigest(normal))
+                        lengths.append(len(normal) if normal.isascii() else len(normal.decode()))
                         raw.append(xxh64_intdigest(given[i], 42))
                         telling = [w for w in words if len(w) > SHORT_WORD] or words
                         every += telling
                         sizes.append(len(telling))
             if doc_ids:
-                fp = majority(np.fromiter(map(_HASHES.__getitem__, every), np.uint64, len(every)), np.array(sizes, np.int64))
+                words_of_all, sizes = np.fromiter(map(_HASHES.__getitem__, every), np.uint64, len(every)), np.array(sizes, np.int64)
+                fp, found = majority(words_of_all, sizes), bands(words_of_all, sizes)
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(0, found.size + 1, BANDS, dtype=np.int32)), pa.array(found.ravel()))
                 hashes = (np.array(x, np.uint64).view(np.int64) for x in (keys, raw))
-                yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(numbers, pa.int32()), *map(pa.array, hashes), pa.array(fp.view(np.int64))], ["doc_id", "line", "h", "raw", "fp"])
+                yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(numbers, pa.int32()), *map(pa.array, hashes), pa.array(fp.view(np.int64)), pa.array(lengths, pa.int32()), lists], ["doc_id", "line", "h", "raw", "fp", "size", "bands"])
 
     return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(work, LINES)
 
@@ -138,17 +161,22 @@ def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 
 
 def _verifier(k: int, similarity: float):
-    """Links between a signature's lines: near in bits and alike in text, unless others link them already."""
+    """Links between a signature's lines: near in bits and alike in text, unless others link them already.
+
+    Two lines are compared under the first band that they share only.
+    """
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in segments(batches):
-            sig, fp, ids, texts = part["sig"].to_numpy(), part["fp"].to_numpy(), part["id"].to_numpy(), part["text"].to_pylist()
+            sig, fp, ids, texts = part["sig"].to_numpy(), part["fp"].to_numpy().view(np.uint64), part["id"].to_numpy(), part["text"].to_pylist()
+            at, held = part["at"].to_numpy(), np.array(part["bands"].to_pylist(), np.int32)
             cuts = [*np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]])).tolist(), len(sig)]
             left, right = [], []
             for start, end in zip(cuts[:-1], cuts[1:], strict=True):
                 group = np.arange(end - start)
                 for i in range(start, end - 1):
                     near = np.flatnonzero(np.bitwise_count(fp[i + 1 : end] ^ fp[i]) <= k) + i + 1
+                    near = near[~(held[near, : at[i]] == held[i, : at[i]]).any(axis=1)]
                     for j in near.tolist():
                         a, b = group[i - start], group[j - start]
                         if a != b and alike(texts[i], texts[j], similarity):
@@ -160,23 +188,38 @@ def _verifier(k: int, similarity: float):
     return work
 
 
+def _candidates(k: int, ratio: float):
+    """``sig``, ``at``, ``a``, ``b``: links between a signature's lines within ``k`` bits and of sizes within ``ratio``; ``size`` holds the band in its four low bits."""
+
+    def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in segments(batches):
+            sig, fp, ids, size = (part[c].to_numpy() for c in ("sig", "fp", "id", "size"))
+            root = roots(len(sig), *pairs(sig, fp, k, size >> 4, ratio))
+            at = np.flatnonzero(root != np.arange(len(sig)))
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (sig[at], size[at] & 15, ids[at], ids[root[at]])], ["sig", "at", "a", "b"])
+
+    return work
+
+
 def line_links(docs: DataFrame, distinct: DataFrame, k: int = K, similarity: float = SIMILARITY) -> DataFrame:
-    """``a``, ``b``: links between distinct lines (``id``, ``fp``, ``doc_id``, ``line``) that are near and alike."""
-    plan = equal_blocks(*bit_statistics(distinct), k)
-    near = Shared(links(distinct, k, plan), "near-lines")
-    some = near.frame.select(F.col("a").alias("id")).unionByName(near.frame.select(F.col("b").alias("id"))).distinct()
-    wanted = Shared(distinct.join(some, "id"), "near-line-places")
-    texts = Shared(_texts_of(docs, wanted.frame), "near-line-texts")
+    """``a``, ``b``: links between distinct lines (``id``, ``fp``, ``size``, ``bands``, ``doc_id``, ``line``) that are near and alike."""
+    rows = distinct.select("id", "fp", "size", F.posexplode("bands").alias("at", "band"))
+    rows = rows.select(F.xxhash64("at", "band").alias("sig"), "fp", "id", (F.col("size").cast("long") * 16 + F.col("at")).alias("size"))
+    near = Shared(dealt(spread(rows)).select("sig", "fp", "id", "size").mapInArrow(_candidates(k, similarity - 1e-9), "sig long, at long, a long, b long"), "near-lines")
+    places = Shared(near.frame.select("sig", "at", F.col("a").alias("id")).unionByName(near.frame.select("sig", "at", F.col("b").alias("id"))).distinct(), "near-line-signatures")
+    wanted = Shared(distinct.join(places.frame.select("id").distinct(), "id"), "near-line-places")
+    texts = Shared(_texts_of(docs, wanted.frame).join(wanted.frame.select("id", "bands"), "id"), "near-line-texts")
     for table in (near, wanted):
         table.drop()
-    return dealt(spread(signatures(texts.frame, plan))).select("sig", "fp", "id", "text").mapInArrow(_verifier(k, similarity), "a long, b long").distinct()
+    held = places.frame.join(texts.frame, "id").select("sig", "at", "fp", "id", "bands", "text")
+    return dealt(held).mapInArrow(_verifier(k, similarity), "a long, b long").distinct()
 
 
 def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> Shared:
     """A written table ``doc_id``, ``gone`` (array of line, raw): each document's lines of which another occurrence stays."""
     lines = Shared(line_hashes(docs, min_words), "lines")
     first = F.min(F.struct("doc_id", "line")).alias("first")
-    distinct = Shared(lines.frame.groupBy("h").agg(first, F.min("fp").alias("fp"), F.count("*").alias("n")).select(F.col("h").alias("id"), "fp", "first.doc_id", "first.line", "n"), "distinct-lines")
+    distinct = Shared(lines.frame.groupBy("h").agg(first, F.min("fp").alias("fp"), F.min("size").alias("size"), F.min("bands").alias("bands"), F.count("*").alias("n")).select(F.col("h").alias("id"), "fp", "size", "bands", "first.doc_id", "first.line", "n"), "distinct-lines")
     linked = components(line_links(docs, distinct.frame, k, similarity), "line-groups")
     groups = linked.frame
     members = groups.unionByName(groups.select(F.col("root").alias("id"), "root").distinct())

@@ -98,6 +98,11 @@ def test_hot_signatures_lose_no_link(spark):
         assert sum(t + 1 for t in plan.thresholds) == k + 1 and sorted(b for g in plan.bits for b in g) == list(range(64))
 
 
+def test_links_see_the_highest_bit(spark):
+    fps = spark.createDataFrame([(1, 5), (2, 5 - (1 << 63)), (3, 5 - (1 << 63) + 2)], "id long, fp long")
+    assert {(r.a, r.b) for r in hamming.links(fps, 3).collect()} == {(2, 1), (3, 1)}
+
+
 def test_similar_texts_keep_one(spark):
     rng = random.Random(5)
     words = [f"w{rng.randint(0, 9999)}" for _ in range(200)]
@@ -115,6 +120,31 @@ def test_lines(spark, odd):
     assert lines.dedup(odd).count() == len(ODD) and lines.dedup(odd.limit(0)).count() == 0
 
 
+def test_lines_find_edits_of_a_fifth(spark):
+    rng = random.Random(5)
+    word = lambda: "".join(rng.choice("abcdefghiklmnoprstuw") for _ in range(rng.randint(3, 9)))
+    rows, planted = [], 0
+    for n in (10, 20, 50):
+        for kind in ("words", "block", "append"):
+            for _ in range(40):
+                old = [word() for _ in range(n)]
+                new, m = list(old), max(1, n // 6)
+                if kind == "words":
+                    for i in rng.sample(range(n), m):
+                        new[i] = word()
+                elif kind == "block":
+                    new[2 : 2 + m] = [word() for _ in range(m)]
+                else:
+                    new += [word() for _ in range(m)]
+                if lines.alike(" ".join(old), " ".join(new), lines.SIMILARITY):
+                    rows += [(len(rows), " ".join(old)), (len(rows) + 1, " ".join(new))]
+                    planted += 1
+    rows.append((len(rows), " ".join(word() for _ in range(20))))
+    got = lines.dedup(spark.createDataFrame(rows, "doc_id long, text string"))
+    gone = {r.doc_id for r in got.where("n_removed > 0").collect()}
+    assert planted > 200 and len(gone) >= 0.97 * planted and all(i % 2 for i in gone)
+
+
 def test_quality(spark, docs, odd):
     model = quality.fit(docs, docs.select("doc_id").where("doc_id % 2 = 0"))
     for r in quality.judge(docs, model).limit(50).collect():
