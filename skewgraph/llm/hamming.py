@@ -256,7 +256,9 @@ def segments(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
-def _linker(k: int, ratio: float):
+def linker(k: int, ratio: float):
+    """Links between a signature's rows (``sig``, ``fp``, ``id``, ``size``) within ``k`` bits and of sizes within ``ratio``."""
+
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in segments(batches):
             sig, fp, ids, size = (part[c].to_numpy() for c in ("sig", "fp", "id", "size"))
@@ -283,4 +285,4 @@ def links(fps: DataFrame, k: int = 3, plan: Plan | None = None, group: int = GRO
     plan = plan or allocate(*bit_statistics(fps), k)
     size = F.col("size").cast("long") if ratio else F.lit(1).cast("long").alias("size")
     rows = fps.select("id", "fp", size)
-    return dealt(spread(signatures(rows, plan), group)).select("sig", "fp", "id", "size").mapInArrow(_linker(k, ratio), "a long, b long").distinct()
+    return dealt(spread(signatures(rows, plan), group)).select("sig", "fp", "id", "size").mapInArrow(linker(k, ratio), "a long, b long").distinct()

@@ -20,7 +20,7 @@ from xxhash import xxh64_intdigest
 from .common import Shared, beside, slices
 from .components import components
 from .hamming import dealt, pairs, roots, segments, spread
-from .simhash import majority
+from .simhash import bands, majority
 
 #: SimHash bits in which candidates may differ: edits of a fifth of the words change about 14, unrelated lines differ in 32.
 K = 23
@@ -49,22 +49,6 @@ class _WordHash(dict):
 _HASHES = _WordHash()
 
 
-_MULTIPLIERS = np.random.default_rng(42).integers(1 << 63, size=BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
-
-
-def bands(hashes: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """``BANDS`` 32-bit digests, each of ``ROWS`` MinHashes, of consecutive non-empty groups of 64-bit hashes."""
-    out = np.zeros((len(sizes), BANDS), np.uint64)
-    starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-    with np.errstate(over="ignore"):
-        mixed = hashes ^ (hashes >> np.uint64(29))
-        for i, by in enumerate(_MULTIPLIERS):
-            least = np.minimum.reduceat(mixed * by, starts)
-            least ^= least >> np.uint64(31)
-            out[:, i % BANDS] = (out[:, i % BANDS] ^ least) * np.uint64(0x9E3779B97F4A7C15)
-    return (out >> np.uint64(32)).astype(np.uint32).view(np.int32)
-
-
 def normal_words(line: bytes) -> list[bytes]:
     return line.translate(_DIGITS, _DROP).split()
 
@@ -131,7 +115,7 @@ def line_hashes(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
                         sizes.append(len(telling))
             if doc_ids:
                 words_of_all, sizes = np.fromiter(map(_HASHES.__getitem__, every), np.uint64, len(every)), np.array(sizes, np.int64)
-                fp, found = majority(words_of_all, sizes), bands(words_of_all, sizes)
+                fp, found = majority(words_of_all, sizes), bands(words_of_all, sizes, BANDS, ROWS)
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, found.size + 1, BANDS, dtype=np.int32)), pa.array(found.ravel()))
                 hashes = (np.array(x, np.uint64).view(np.int64) for x in (keys, raw))
                 yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(numbers, pa.int32()), *map(pa.array, hashes), pa.array(fp.view(np.int64)), pa.array(lengths, pa.int32()), lists], ["doc_id", "line", "h", "raw", "fp", "size", "bands"])

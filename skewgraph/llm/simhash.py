@@ -13,7 +13,7 @@ from xxhash import xxh64_intdigest
 
 from .common import Shared, beside, slices, words_of
 from .components import components
-from .hamming import dealt, links, roots, segments, spread
+from .hamming import dealt, linker, links, roots, segments, spread
 
 SEED = 42
 
@@ -41,6 +41,22 @@ def majority(hashes: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return out
 
 
+def bands(hashes: np.ndarray, sizes: np.ndarray, count: int, rows: int) -> np.ndarray:
+    """``count`` 32-bit digests, each of ``rows`` MinHashes, of consecutive non-empty groups of 64-bit hashes."""
+    out = np.zeros((len(sizes), count), np.uint64)
+    if not len(sizes):
+        return out.astype(np.int32)
+    starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+    multipliers = np.random.default_rng(42).integers(1 << 63, size=count * rows, dtype=np.uint64) | np.uint64(1)
+    with np.errstate(over="ignore"):
+        mixed = hashes ^ (hashes >> np.uint64(29))
+        for i, by in enumerate(multipliers):
+            least = np.minimum.reduceat(mixed * by, starts)
+            least ^= least >> np.uint64(31)
+            out[:, i % count] = (out[:, i % count] ^ least) * np.uint64(0x9E3779B97F4A7C15)
+    return (out >> np.uint64(32)).astype(np.uint32).view(np.int32)
+
+
 def shingle_hashes(words: list[bytes], width: int) -> list[int]:
     """XXH64 of the words' shingles, repeats included; a text of fewer than ``width`` words is one shingle."""
     n = len(words)
@@ -78,32 +94,34 @@ def near_duplicates(docs: DataFrame, width: int = 5, k: int = 3) -> DataFrame:
     return own.frame.join(classes, "fp").select("doc_id", "fp", "component_id")
 
 
-#: Rows of one group of near fingerprints that a task compares at once.
+#: Rows of one group of near texts that a task compares at once.
 VERIFY_GROUP = 1024
+#: MinHash bands of a text, and values of a band: texts with a Jaccard similarity of 0.8 share one with a chance of 99.96 %.
+BANDS, ROWS = 20, 5
 
 
-def word_fingerprints(docs: DataFrame, width: int) -> DataFrame:
-    """``doc_id``, ``fp``, ``h``, ``size`` of every text that has words and a ``doc_id``: the SimHash of its distinct words, the digest of all, its distinct shingles.
-
-    An edited word touches one feature here but up to ``width`` shingles, so texts that share most shingles are
-    much nearer in these bits than in a SimHash of the shingles.
-    """
+def shingle_bands(docs: DataFrame, width: int) -> DataFrame:
+    """``doc_id``, ``bands``, ``h``, ``size`` of every text that has words and a ``doc_id``: MinHash bands of its shingles, the digest of its words, its distinct shingles."""
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "text"):
             words = [words_of(t, lower=True) for t in texts]
-            parts = [np.array([xxh64_intdigest(w, SEED) for w in set(x)], np.uint64) for x in words]
-            fp = majority(np.concatenate(parts), np.array([len(x) for x in parts], np.int64))
+            batch = batch.filter(pa.array([bool(x) for x in words], pa.bool_()))
+            words = [x for x in words if x]
+            if not words:
+                continue
+            sets = [np.unique(np.array(shingle_hashes(x, width), np.uint64)) for x in words]
+            sizes = np.array([len(x) for x in sets], np.int64)
+            found = bands(np.concatenate(sets), sizes, BANDS, ROWS)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, found.size + 1, BANDS, dtype=np.int32)), pa.array(found.ravel()))
             digest = np.array([xxh64_intdigest(b" ".join(x), SEED) for x in words], np.uint64)
-            size = pa.array([len(set(zip(*(x[i:] for i in range(width))))) if len(x) > width else 1 for x in words], pa.int64())  # noqa: B905
-            table = pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(fp.view(np.int64)), pa.array(digest.view(np.int64)), size], ["doc_id", "fp", "h", "size"])
-            yield table.filter(pa.array([bool(x) for x in words]))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), lists, pa.array(digest.view(np.int64)), pa.array(sizes)], ["doc_id", "bands", "h", "size"])
 
-    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(work, "doc_id long, fp long, h long, size long")
+    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(work, "doc_id long, bands array<int>, h long, size long")
 
 
 def _shingle_sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """``sig``, ``id``, ``fp``, ``shingles`` (sorted distinct hashes) of the texts of ``wanted`` (``sig``, ``id``, ``fp``, ``h``)."""
+    """``sig``, ``id``, ``shingles`` (sorted distinct hashes) of the texts of ``wanted`` (``sig``, ``id``, ``h``)."""
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "text"):
@@ -111,15 +129,15 @@ def _shingle_sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
             own = np.array([xxh64_intdigest(b" ".join(x), SEED) for x in words], np.uint64).view(np.int64)
             keep = pa.array(own == batch.column("h").to_numpy())  # another row may repeat the doc_id
             sets = pa.array([np.unique(np.array(shingle_hashes(x, width), np.uint64)).tobytes() for x in words], pa.binary())
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("sig", "id", "fp")), sets], ["sig", "id", "fp", "shingles"]).filter(keep)
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("sig", "id")), sets], ["sig", "id", "shingles"]).filter(keep)
 
-    held = docs.select(F.col("doc_id").cast("long"), "text").join(wanted, F.col("doc_id") == F.col("id")).select("sig", "id", "fp", "h", "text")
-    return held.mapInArrow(work, "sig long, id long, fp long, shingles binary")
+    held = docs.select(F.col("doc_id").cast("long"), "text").join(wanted, F.col("doc_id") == F.col("id")).select("sig", "id", "h", "text")
+    return held.mapInArrow(work, "sig long, id long, shingles binary")
 
 
-def _common(sets: list[np.ndarray], near: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of ``near`` (upper triangle) whose sets have a Jaccard similarity of ``similarity`` or more."""
-    x, y = np.nonzero(np.triu(near, 1))
+def _common(sets: list[np.ndarray], similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs whose sets have a Jaccard similarity of ``similarity`` or more."""
+    x, y = np.triu_indices(len(sets), 1)
     sizes = np.array([len(s) for s in sets])
     fit = np.minimum(sizes[x], sizes[y]) >= similarity * np.maximum(sizes[x], sizes[y]) - 1e-9
     x, y = x[fit], y[fit]
@@ -143,16 +161,15 @@ def _common(sets: list[np.ndarray], near: np.ndarray, similarity: float) -> tupl
     return x[good], y[good]
 
 
-def _verifier(k: int, similarity: float):
+def _verifier(similarity: float):
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in segments(batches):
             part = part.sort_by([("sig", "ascending"), ("id", "ascending")])
-            sig, fp, ids, raw = part["sig"].to_numpy(), part["fp"].to_numpy(), part["id"].to_numpy(), part["shingles"].to_pylist()
+            sig, ids, raw = part["sig"].to_numpy(), part["id"].to_numpy(), part["shingles"].to_pylist()
             cuts = [*np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]])).tolist(), len(sig)]
             left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             for start, end in zip(cuts[:-1], cuts[1:], strict=True):
-                own = fp[start:end]
-                pairs = _common([np.frombuffer(x, np.uint64) for x in raw[start:end]], np.bitwise_count(own[:, None] ^ own[None, :]) <= k, similarity)
+                pairs = _common([np.frombuffer(x, np.uint64) for x in raw[start:end]], similarity)
                 root = roots(end - start, *pairs)
                 at = np.flatnonzero(root != np.arange(end - start))
                 left.append(ids[start + at])
@@ -162,20 +179,23 @@ def _verifier(k: int, similarity: float):
     return work
 
 
-def similar_groups(docs: DataFrame, width: int = 5, k: int = 7, similarity: float = 0.8) -> Shared:
+def similar_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8) -> Shared:
     """A written table ``doc_id``, ``component_id`` of every row with words: the least ``doc_id`` that similar texts reach.
 
     Two texts are similar if the Jaccard similarity of their distinct ``width``-word shingles reaches
-    ``similarity`` and the SimHashes of their distinct words are within ``k`` bits.  Texts of the same words
-    collapse first; only texts with a near fingerprint bring their shingles, once each.
+    ``similarity``; those that share a MinHash band are candidates, whole groups of them compared exactly.  Texts
+    of the same words collapse first; only texts with a candidate bring their shingles, once each.
     """
-    own = Shared(word_fingerprints(docs, width), "word-fingerprints")
-    distinct = Shared(own.frame.groupBy("h").agg(F.min("doc_id").alias("id"), F.first("fp").alias("fp"), F.first("size").alias("size")), "distinct-texts")
-    near = components(links(distinct.frame, k, ratio=similarity - 1e-9), "near-groups")
+    own = Shared(shingle_bands(docs, width), "shingle-bands")
+    distinct = Shared(own.frame.groupBy("h").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands"), F.first("size").alias("size")), "distinct-texts")
+    rows = distinct.frame.select("id", "size", F.posexplode("bands").alias("at", "band"))
+    rows = rows.select(F.xxhash64("at", "band").alias("sig"), F.lit(0).cast("long").alias("fp"), "id", "size")
+    linked = dealt(spread(rows)).select("sig", "fp", "id", "size").mapInArrow(linker(0, similarity - 1e-9), "a long, b long").distinct()
+    near = components(linked, "near-groups")
     members = near.frame.select("id", F.col("root").alias("sig")).unionByName(near.frame.select(F.col("root").alias("id"), F.col("root").alias("sig")).distinct())
-    wanted = Shared(distinct.frame.join(members, "id"), "near-texts")
+    wanted = Shared(distinct.frame.select("id", "h").join(members, "id"), "near-texts")
     sets = Shared(_shingle_sets(docs, beside(wanted.frame), width), "shingle-sets")
-    found = dealt(spread(sets.frame, VERIFY_GROUP)).select("sig", "fp", "id", "shingles").mapInArrow(_verifier(k, similarity), "a long, b long")
+    found = dealt(spread(sets.frame, VERIFY_GROUP)).select("sig", "id", "shingles").mapInArrow(_verifier(similarity), "a long, b long")
     groups = components(found, "similar-groups")
     classes = distinct.frame.join(groups.frame, "id", "left").select("h", F.coalesce("root", "id").alias("component_id"))
     result = Shared(own.frame.join(classes, "h").select("doc_id", "component_id"), "similar")
@@ -184,13 +204,13 @@ def similar_groups(docs: DataFrame, width: int = 5, k: int = 7, similarity: floa
     return result
 
 
-def keep_one(docs: DataFrame, width: int = 5, k: int = 7, similarity: float = 0.8) -> DataFrame:
+def keep_one(docs: DataFrame, width: int = 5, similarity: float = 0.8) -> DataFrame:
     """The documents that are the least of their group of similar texts; all columns.
 
     Texts without words are no copies of one another; of rows that repeat a ``doc_id`` with the same text one
     stays; rows without a ``doc_id`` stay.
     """
-    found = similar_groups(docs, width, k, similarity)
+    found = similar_groups(docs, width, similarity)
     gone = beside(Shared(found.frame.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct(), "gone").frame)
     kept = docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
     if found.frame.groupBy("doc_id").count().where("count > 1").isEmpty():

@@ -120,6 +120,32 @@ def test_lines(spark, odd):
     assert lines.dedup(odd).count() == len(ODD) and lines.dedup(odd.limit(0)).count() == 0
 
 
+def test_similar_texts_at_the_bound(spark):
+    rng = random.Random(9)
+    draw = lambda n: [f"w{int(rng.paretovariate(0.7))}" for _ in range(n)]
+    grams = lambda x: {tuple(x[i : i + 5]) for i in range(len(x) - 4)}
+    rows, planted = [], 0
+    for n in (60, 200, 600):
+        for kind in ("append", "block", "words"):
+            for _ in range(40):
+                old = draw(n)
+                new, m = list(old), n * 9 // 100
+                if kind == "append":
+                    new += draw(n * 23 // 100)
+                elif kind == "block":
+                    new[20 : 20 + m] = draw(m)
+                else:
+                    for i in rng.sample(range(n), max(1, n // 60)):
+                        new[i] = "changed"
+                a, b = grams(old), grams(new)
+                if len(a & b) >= 0.8 * len(a | b):
+                    rows += [(len(rows), " ".join(old)), (len(rows) + 1, " ".join(new))]
+                    planted += 1
+    kept = {r.doc_id for r in simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).select("doc_id").collect()}
+    print("planted", planted, "found", len(rows) - len(kept))
+    assert planted > 200 and len(rows) - len(kept) >= 0.99 * planted and all(i in kept for i in range(0, len(rows), 2))
+
+
 def test_lines_find_edits_of_a_fifth(spark):
     rng = random.Random(5)
     word = lambda: "".join(rng.choice("abcdefghiklmnoprstuw") for _ in range(rng.randint(3, 9)))
