@@ -12,28 +12,41 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class Program:
-    """``extend(value, w)`` along an edge; ``least``: smaller values win, else larger; ``weighted``: whether w is read."""
+    """``extend(value, w)`` along an edge; ``least``: smaller values win, else larger; ``weighted``: whether w is read.
+
+    ``aggregate``: how the values that reach a node meet, where that is no choice of the better one; such programs run in
+    rounds of whole gathers (``engine.gather``).
+    """
 
     name: str
     extend: Callable[[Column, Column], Column]
     least: bool = True
     weighted: bool = True
-    #: Whether a node's edges may be cut into parts: extend distributes over the choice of the better value.
+    #: Whether a node's edges may be cut into parts: what the parts give, put together, is what the whole gives.
     distributive: bool = True
+    aggregate: Callable[[Column], Column] | None = None
 
     def combine(self, value: Column) -> Column:
+        if self.aggregate:
+            return self.aggregate(value)
         return F.min(value) if self.least else F.max(value)
 
     def better(self, new: Column, old: Column) -> Column:
         return new < old if self.least else new > old
 
 
+def _middle(value: Column) -> Column:
+    return F.percentile(value, F.lit(0.5))
+
+
 BFS = Program("bfs", lambda d, w: d + 1, weighted=False)
 SSSP = Program("sssp", lambda d, w: d + w)
 COMPONENTS = Program("components", lambda d, w: d, weighted=False)
 WIDEST = Program("widest", lambda d, w: F.least(d, w), least=False)
+#: Sums of what the edges carry: parts may be summed first.
+WEIGHTED_SUM = Program("weighted_sum", lambda d, w: d * w, aggregate=F.sum)
 #: Needs all of a node's values at once, so only whole nodes may run it.
-NEIGHBOUR_MEDIAN = Program("neighbour_median", lambda d, w: d, distributive=False)
+NEIGHBOUR_MEDIAN = Program("neighbour_median", lambda d, w: d, weighted=False, distributive=False, aggregate=_middle)
 
 
 def violations(extend: Callable[[int, int], int], combine: Callable[[int, int], int], values: range, weights: range) -> list[tuple[int, int, int]]:

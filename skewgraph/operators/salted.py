@@ -1,10 +1,19 @@
-"""Joins and counts whose hot keys are dealt over several tasks."""
+"""Joins and counts whose hot keys are dealt over several tasks, and broadcasts behind a check of size."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+#: Rows up to which a narrow table may be broadcast.
+BESIDE_ROWS = 500_000
+
+
+def beside(frame: DataFrame, most: int = BESIDE_ROWS) -> tuple[DataFrame, int]:
+    """The frame, marked for broadcast if it has few rows, and its number of rows."""
+    n = frame.count()
+    return (F.broadcast(frame) if n <= most else frame), n
+
 
 def salted_join(large: DataFrame, small: DataFrame, key: str, salts: int) -> DataFrame:
     """Inner join: the large side's rows of a key are dealt over ``salts`` groups by their content, the small side meets each."""
