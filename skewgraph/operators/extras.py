@@ -8,8 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..graph import Graph
-from ..plans import engine
-from ..plans.lineage import cut
+from ..plans.lineage import Table, counted, cut
 
 
 def _tops(picks: DataFrame) -> DataFrame:
@@ -50,28 +49,46 @@ def spanning_forest(edges: DataFrame) -> DataFrame:
     return reduce(DataFrame.unionByName, taken)
 
 
-def dependencies(graph: Graph, source) -> DataFrame:
-    """``node``, ``score``: how much of the shortest (fewest edges) paths from ``source`` to other nodes runs through each node.
+def betweenness(graph: Graph, sources: DataFrame | None = None, most_rows: int = 20_000_000) -> DataFrame:
+    """``node``, ``score``: how much of the shortest (fewest edges) paths between other nodes runs through each node, exactly.
 
-    A sweep forwards, level by level, counts the paths; one backwards shares them out.  The source itself scores 0.
+    ``sources`` (``node``): where paths begin, by default every node.  Many sources are swept at once, in blocks of which
+    the (source, node) pairs stay within ``most_rows``: forwards, level by level, the paths are counted; backwards they
+    are shared out.  A path's ends score nothing; nodes on no path score 0.
     """
-    levels = engine.bfs(graph, [source], "BS").state.select("node", F.col("value").alias("level"))
-    ends = [levels.select(F.col("node").alias(n), F.col("level").alias(f"_{n}")) for n in ("src", "dst")]
-    steps = cut(graph.edges.select("src", "dst").join(ends[0], "src").join(ends[1], "dst").where("_dst = _src + 1").select("src", "dst", F.col("_src").alias("level")))
-    depth = levels.agg(F.max("level")).first()[0]
-    paths = [cut(levels.where("level = 0").select("node", F.lit(1.0).alias("paths")))]
-    for at in range(depth):
-        paths.append(cut(steps.where(F.col("level") == at).join(paths[-1].withColumnRenamed("node", "src"), "src").groupBy(F.col("dst").alias("node")).agg(F.sum("paths").alias("paths"))))
-    scores = [paths[-1].select("node", "paths", F.lit(0.0).alias("score"))]
-    for at in reversed(range(depth)):
-        below = scores[-1].select(F.col("node").alias("dst"), F.col("paths").alias("n"), ((1 + F.col("score")) / F.col("paths")).alias("share"))
-        part = steps.where(F.col("level") == at).join(below, "dst").groupBy(F.col("src").alias("node")).agg(F.sum("share").alias("share"))
-        scores.append(cut(paths[at].join(part, "node", "left").select("node", "paths", (F.col("paths") * F.coalesce("share", F.lit(0.0))).alias("score"))))
-    scores[-1] = scores[-1].withColumn("score", F.lit(0.0))
-    return reduce(DataFrame.unionByName, scores).select("node", "score")
-
-
-def betweenness(graph: Graph, sources: list) -> DataFrame:
-    """``node``, ``score``: the dependencies summed over ``sources``; over all nodes of the graph, exact betweenness."""
-    parts = reduce(DataFrame.unionByName, [dependencies(graph, s) for s in sources])
-    return parts.groupBy("node").agg(F.round(F.sum("score"), 6).alias("score"))
+    nodes = cut(graph.nodes())
+    starts = cut(sources.select("node").distinct()) if sources is not None else nodes
+    edges = cut(graph.edges.select("src", "dst"))
+    n = nodes.count()
+    blocks = max(1, -(-starts.count() * n // most_rows))
+    scores = [_swept(edges, starts.where(F.pmod(F.xxhash64("node"), F.lit(blocks)) == b)) for b in range(blocks)]
+    total = reduce(DataFrame.unionByName, scores).groupBy("node").agg(F.sum("score").alias("score"))
+    return nodes.join(total, "node", "left").select("node", F.round(F.coalesce("score", F.lit(0.0)), 6).alias("score"))
+
+
+def _swept(edges: DataFrame, starts: DataFrame) -> DataFrame:
+    """``source``, ``node``, ``score`` of the paths from a block of sources."""
+    levels = [Table(starts.select(F.col("node").alias("source"), "node", F.lit(1.0).alias("paths")), "paths")]
+    while True:
+        seen = reduce(DataFrame.unionByName, [t.frame.select("source", "node") for t in levels])
+        on = levels[-1].frame.join(edges, F.col("node") == F.col("src")).groupBy("source", F.col("dst").alias("node")).agg(F.sum("paths").alias("paths"))
+        table, found = counted(on.join(seen, ["source", "node"], "left_anti"), "paths", n=F.count("*"))
+        if not found["n"]:
+            break
+        levels.append(table)
+    below, out = levels[-1].frame.withColumn("score", F.lit(0.0)), []
+    out.append(below)
+    for table in reversed(levels[:-1]):
+        share = below.select(F.col("source").alias("_s"), F.col("node").alias("dst"), ((1 + F.col("score")) / F.col("paths")).alias("share"))
+        own = table.frame.join(edges, F.col("node") == F.col("src")).join(share, (F.col("source") == F.col("_s")) & (edges["dst"] == share["dst"]), "left")
+        met = own.groupBy("source", "node").agg(F.max("paths").alias("paths"), F.sum("share").alias("share"))
+        whole = table.frame.join(met.select("source", "node", "share"), ["source", "node"], "left")
+        below = Table(whole.select("source", "node", "paths", (F.col("paths") * F.coalesce("share", F.lit(0.0))).alias("score")), "scores").frame
+        out.append(below)
+    return reduce(DataFrame.unionByName, out).where("source <> node").select("source", "node", "score")
+
+
+def dependencies(graph: Graph, source) -> DataFrame:
+    """``node``, ``score``: the part of ``betweenness`` that the paths from one source give."""
+    kind = graph.edges.schema["src"].dataType.simpleString()
+    return betweenness(graph, graph.edges.sparkSession.createDataFrame([(source,)], f"node {kind}"))

@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 from . import relational
-from .queries import CAPS, SEARCH_VIEWS, SOURCES, STATS_VIEWS, STEPS, SWITCH, WORKERS
+from .functions.measures import COMPLEXITY
+from .queries import SEARCH_VIEWS, SOURCES, SSSP_VIEWS, STATS_VIEWS, STEPS, SWITCH, VARIANTS, WORKERS
 from .streaming import batches
 
 BOTH = "SELECT src, dst, w FROM one UNION ALL SELECT dst, src, w FROM one"
@@ -157,14 +158,38 @@ def oracle_sql() -> dict[str, str]:
     for v in SEARCH_VIEWS:
         for s in ("bs", "ep", "wd", "ns", "hp"):
             out[f"bfs_{s}_{v}"] = _with(base(v), bfs(v, 12)) + "SELECT node, level FROM lv"
-    for name, v in (("bfs_wd_part_grid", "part_grid"), ("bfs_hp_event_lattice", "event_lattice"), ("bfs_ep_fk_entities", "fk_entities")):
-        out[name] = _with(base(v), bfs(v, CAPS.get(v, 12))) + "SELECT node, level FROM lv"
-    shortest = _with(base("part_next"), keyed("part_next", "st.value + e.w", "<", "0")) + "SELECT node, value AS dist FROM st"
-    for s in ("bs", "ep", "wd", "ns", "hp"):
-        out[f"sssp_{s}_part_next"] = shortest
-    out["sssp_wd_order_part"] = shortest.replace(VIEWS["part_next"], VIEWS["order_part"])
-    walks = f"""w AS (SELECT CAST(0 AS BIGINT) AS node, CAST(0 AS BIGINT) AS dist, 0 AS k UNION SELECT e.dst, w.dist + e.w, k + 1 FROM w JOIN e ON e.src = w.node WHERE k < {CAPS["part_grid"]})"""
-    out["sssp_ns_part_grid"] = _with(base("part_grid"), walks) + "SELECT node, min(dist) AS dist FROM w GROUP BY 1"
+    hops = lambda v: _with(base(v), keyed(v, "st.value + 1", "<", "0")) + "SELECT node, value AS level FROM st"
+    paths = lambda v: _with(base(v), keyed(v, "st.value + e.w", "<", "0")) + "SELECT node, value AS dist FROM st"
+    for v in SSSP_VIEWS:
+        for s in ("bs", "ep", "wd", "ns", "hp"):
+            out[f"sssp_{s}_{v}"] = paths(v)
+            out[f"bfs_{s}_event_lattice"] = hops("event_lattice")
+    out["bfs_wd_part_grid"], out["bfs_ep_fk_entities"], out["bfs_ep_token_bigram"], out["sssp_hp_token_bigram"] = hops("part_grid"), hops("fk_entities"), hops("token_bigram"), paths("token_bigram")
+    for name, (program, _, v, _) in VARIANTS.items():
+        out[name] = hops(v) if program == "bfs" else paths(v)
+    for v in ("part_next", "event_hub"):
+        full = _with(base(v), bfs(v, 12))
+        pushed = "SELECT level AS superstep, CAST(sum(deg) AS BIGINT) AS single_pushes, count(*) AS chunk_pushes FROM lv JOIN d USING (node) WHERE level > 0 GROUP BY 1"
+        out[f"ep_chunking_{v}"] = full + pushed
+        out[f"run_metrics_{v}"] = full + """SELECT a.level + 1 AS superstep, a.n AS frontier, b.n AS improved, a.e AS active_edges, a.e AS relaxations
+          FROM (SELECT level, count(*) FILTER (WHERE deg > 0) AS n, CAST(sum(deg) AS BIGINT) AS e FROM lv JOIN d USING (node) GROUP BY 1) a JOIN (SELECT level, count(*) AS n FROM lv GROUP BY 1) b ON b.level = a.level + 1"""
+        out[f"tasks_hold_workers_{v}"] = "SELECT s AS strategy, CAST(0 AS BIGINT) AS mixed FROM (SELECT unnest(['BS', 'EP', 'WD', 'NS', 'HP']) AS s)"
+        out[f"wd_range_join_{v}"] = out.get(f"wd_blocks_{v}") or ""
+        words = out[f"memory_words_{v}"]
+        ease = " UNION ALL ".join(f"SELECT '{k}' AS strategy, {e} AS ease" for k, e in COMPLEXITY.items())
+        out[f"rank_strategies_{v}"] = f"""SELECT strategy, CAST(rank() OVER (ORDER BY makespan) AS INTEGER) AS time_rank, CAST(rank() OVER (ORDER BY words) AS INTEGER) AS memory_rank, CAST(rank() OVER (ORDER BY ease) AS INTEGER) AS ease_rank
+          FROM (SELECT strategy, sum(makespan) AS makespan FROM ({out[f"balance_{v}"]}) GROUP BY 1) JOIN ({words}) USING (strategy) JOIN ({ease}) USING (strategy)"""
+    out["loads_per_node_event_hub"] = _with(base("event_hub"), bfs("event_hub", STEPS), FRONT) + "SELECT superstep, max(deg) AS makespan, count(*) AS workers FROM f GROUP BY 1"
+    out["bfs_multi_part_next"] = _with(base("part_next"), bfs("part_next", 12).replace("SELECT CAST(0 AS BIGINT) AS node, CAST(0 AS BIGINT) AS level", "SELECT CAST(i AS BIGINT) AS node, CAST(0 AS BIGINT) AS level FROM range(3) r(i)")) + "SELECT node, level FROM lv"
+    out["neighbour_median_part_next"] = _with(base("part_next")) + "SELECT node, coalesce(quantile_cont(CAST(src AS DOUBLE), 0.5), CAST(node AS DOUBLE)) AS value FROM d LEFT JOIN e ON dst = node GROUP BY node"
+    out["weighted_sum_part_next"] = _with(base("part_next")) + "SELECT node, CAST(coalesce(sum(src * w), node) AS BIGINT) AS value FROM d LEFT JOIN e ON dst = node GROUP BY node"
+    out["betweenness_turn_chain"] = """SELECT conv_id * 1000 + turn AS node, CAST((i - 1) * (n - i) AS DOUBLE) AS score FROM (
+      SELECT conv_id, turn, row_number() OVER (PARTITION BY conv_id ORDER BY turn) AS i, count(*) OVER (PARTITION BY conv_id) AS n FROM conversations) WHERE n > 1"""
+    shares = ["s12 AS (SELECT node, paths, CAST(0 AS DOUBLE) AS score FROM p WHERE level = 12)"]
+    shares += [f"s{k} AS (SELECT p.node, p.paths, coalesce(sum(p.paths / n.paths * (1 + n.score)), 0) AS score FROM p LEFT JOIN (e JOIN s{k + 1} n ON e.dst = n.node) ON e.src = p.node WHERE p.level = {k} GROUP BY 1, 2)" for k in reversed(range(12))]
+    counted = "p AS (SELECT CAST(0 AS BIGINT) AS node, CAST(0 AS BIGINT) AS level, CAST(1 AS DOUBLE) AS paths UNION ALL SELECT e.dst, max(lv.level), sum(p.paths) FROM p JOIN e ON e.src = p.node JOIN lv ON lv.node = e.dst AND lv.level = p.level + 1 GROUP BY e.dst)"
+    every = " UNION ALL ".join(f"SELECT node, score FROM s{k}" for k in range(13))
+    out["dependencies_part_next"] = _with(base("part_next"), bfs("part_next", 12), counted, *shares) + f"SELECT node, round(coalesce(CASE WHEN node <> 0 THEN score END, 0), 6) AS score FROM d LEFT JOIN ({every}) USING (node)"
     out["components_event_hub"] = f"{_with(base('event_hub'))} SELECT node, CAST(0 AS BIGINT) AS label FROM d"
     out["widest_supplier_part"] = f"{_with(base('supplier_part'))} SELECT node, CAST(1 AS BIGINT) AS width FROM d WHERE node <> 0"
     out["strategies_agree_supplier_part"] = "SELECT 'BS-' || s AS pair, CAST(0 AS BIGINT) AS differing FROM (SELECT unnest(['EP', 'WD', 'NS', 'HP']) AS s)"

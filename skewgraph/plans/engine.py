@@ -187,7 +187,7 @@ def traverse(graph: Graph, program: Program, seeds: DataFrame, strategy: str = "
         pushed = {"edge_pushes": found["edges"] if strategy == "EP" and not options.chunked else 0, "child_pushes": found["children"] if strategy == "NS" else 0}
         rows.append({
             "superstep": k, "frontier": front.nodes, "improved": found["n"], "active_edges": front.edges, "relaxations": relaxed_n(), "launches": work.launches, "scan_launches": work.counts.get("scan_launches", 0),
-            "pushes": pushed["edge_pushes"] or found["n"] + pushed["child_pushes"], **pushed, "sublist_pushes": work.counts.get("sublist_pushes", 0), "kernel_s": spent, "overhead_s": planned - began,
+            "pushes": found["edges"] if strategy == "EP" and not options.chunked else found["n"] + pushed["child_pushes"], **pushed, "sublist_pushes": work.counts.get("sublist_pushes", 0), "kernel_s": spent, "overhead_s": planned - began,
         })
         seen = found
         if found["n"]:

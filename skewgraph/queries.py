@@ -22,9 +22,25 @@ Query = Callable[[SparkSession, str], DataFrame]
 WORKERS, SWITCH, STEPS = 8, 8, 3
 STATS_VIEWS = tuple(v for v in VIEWS if v != "embedding_knn")
 SEARCH_VIEWS = ("part_next", "supplier_part", "event_hub")
+SSSP_VIEWS = ("part_next", "order_part", "supplier_part", "event_hub", "part_grid")
 SOURCES = {"token_bigram": "the", "fk_entities": "c0"}
-#: Supersteps after which the deep lattices stop here; the bench runs them to the end.
-CAPS = {"part_grid": 8, "event_lattice": 8}
+#: Searches with other options, each with the result of the usual ones.
+VARIANTS = {
+    "bfs_bs_hash_event_hub": ("bfs", "BS", "event_hub", {"assign": "hash"}),
+    "bfs_bs_per_node_event_hub": ("bfs", "BS", "event_hub", {"workers": "per_node"}),
+    "bfs_ep_single_event_hub": ("bfs", "EP", "event_hub", {"chunked": False}),
+    "sssp_ep_single_part_next": ("sssp", "EP", "part_next", {"chunked": False}),
+    "bfs_ep_never_event_hub": ("bfs", "EP", "event_hub", {"condense": "never"}),
+    "sssp_ep_never_part_next": ("sssp", "EP", "part_next", {"condense": "never"}),
+    "sssp_hp_deep_part_next": ("sssp", "HP", "part_next", {"mdt": 5, "depth": 2, "group": 100}),
+    "bfs_hp_launches_event_hub": ("bfs", "HP", "event_hub", {"fused": False}),
+    "sssp_hp_noswitch_part_next": ("sssp", "HP", "part_next", {"switch_below": 0}),
+    "sssp_ns_fixed_part_next": ("sssp", "NS", "part_next", {"mdt": 7}),
+    "bfs_wd_pinned_event_hub": ("bfs", "WD", "event_hub", {"place": "pages"}),
+    "bfs_wd_all_part_next": ("bfs", "WD", "part_next", {"data_driven": False}),
+}
+#: Views of long paths: all supersteps are run.
+ROADS = ("part_grid", "event_lattice")
 
 
 def graph(spark: SparkSession, sf_dir: str, view: str) -> Graph:
@@ -126,27 +142,114 @@ def wd_blocks(view):
     return lambda spark, d: blocks(graph(spark, d, view).degrees(), WORKERS).select("worker", "node", "offset", "len")
 
 
-def load_query(strategy, view):
+def _recorded(spark, d, view, strategy, **more) -> engine.Run:
+    """The first supersteps of a search, with the edges that each worker was given."""
+    return engine.bfs(graph(spark, d, view), [source(view)], strategy, options=Options(WORKERS, switch_below=SWITCH, record=True, **more), max_supersteps=STEPS)
+
+
+def load_query(strategy, view, **more):
+    """Edges of each worker and launch, counted in the tasks of a run."""
+
     def run(spark, d):
-        g = graph(spark, d, view)
-        return ld.loads(strategy, ld.frontiers(g, _levels(g, view, STEPS), STEPS), g.degrees(), WORKERS, _mdt(g), SWITCH)
+        return _recorded(spark, d, view, strategy, **more).worker_loads.groupBy("superstep", "launch", "worker").agg(F.sum("load").alias("load"))
 
     return run
 
 
 def balance(view):
+    """Makespan of each strategy's superstep, from the loads of its run."""
+
     def run(spark, d):
-        g, out = graph(spark, d, view), None
-        front, m = ld.frontiers(g, _levels(g, view, STEPS), STEPS), _mdt(g)
+        out = None
         for s in ms.STRATEGIES:
-            per_worker = ld.loads(s, front, g.degrees(), WORKERS, m, SWITCH).groupBy("superstep", "launch").agg(F.max("load").alias("most"), F.sum("load").alias("load"))
-            part = per_worker.groupBy("superstep").agg(F.sum("most").alias("makespan"), F.sum("load").alias("total")).withColumn("strategy", F.lit(s))
+            per_launch = ms.imbalance(load_query(s, view)(spark, d), ["superstep", "launch"], WORKERS)
+            part = per_launch.groupBy("superstep").agg(F.sum("max_load").alias("makespan"), F.sum("total").alias("total")).withColumn("strategy", F.lit(s))
             out = part if out is None else out.unionByName(part)
         return out.withColumn("imbalance_permille", F.floor(F.col("makespan") * 1000 * WORKERS / F.col("total")).cast("long"))
 
     return run
 
 
+def tasks_hold_workers(view):
+    """Tasks of a run that hold the edges of more than one worker of a launch, by strategy: none."""
+
+    def run(spark, d):
+        out = None
+        for s in ms.STRATEGIES:
+            per_task = _recorded(spark, d, view, s).worker_loads.groupBy("superstep", "launch", "task").agg(F.countDistinct("worker").alias("workers"))
+            part = per_task.agg(F.count_if(F.col("workers") > 1).alias("mixed")).withColumn("strategy", F.lit(s))
+            out = part if out is None else out.unionByName(part)
+        return out
+
+    return run
+
+
+def run_metrics(view, strategy):
+    """What a run counted in each superstep that improved something."""
+
+    def run(spark, d):
+        found = engine.bfs(graph(spark, d, view), [source(view)], strategy, options=Options(WORKERS, switch_below=SWITCH))
+        return found.metrics.where("improved > 0").select("superstep", "frontier", "improved", "active_edges", "relaxations")
+
+    return run
+
+
+def ep_chunking(view):
+    """Worklist entries pushed one by one against a node's edges at once, from two runs."""
+
+    def run(spark, d):
+        runs = [engine.bfs(graph(spark, d, view), [source(view)], "EP", options=Options(WORKERS, chunked=c)).metrics for c in (False, True)]
+        single, chunk = (m.where("improved > 0").select("superstep", F.col("pushes").alias(n)) for m, n in zip(runs, ("single_pushes", "chunk_pushes"), strict=True))
+        return single.join(chunk, "superstep")
+
+    return run
+
+
+def variant(program, strategy, view, **options):
+    """A search with options away from the usual ones: the same result."""
+
+    def run(spark, d):
+        name = "level" if program == "bfs" else "dist"
+        more = {k: options[k] for k in ("data_driven", "target") if k in options}
+        own = Options(**({"workers": WORKERS, "switch_below": SWITCH} | {k: v for k, v in options.items() if k not in more}))
+        return getattr(engine, program)(graph(spark, d, view), [source(view)], strategy, options=own, **more).state.select("node", F.col("value").alias(name))
+
+    return run
+
+
+def wd_range_join(view):
+    """Workers' blocks found by meeting ranges instead of from running totals."""
+    return lambda spark, d: blocks(graph(spark, d, view).degrees(), WORKERS, range_join=True).select("worker", "node", "offset", "len")
+
+
+def multi_source(view):
+    return lambda spark, d: engine.bfs(graph(spark, d, view), [0, 1, 2], "WD", options=Options(WORKERS)).state.select("node", F.col("value").alias("level"))
+
+
+def gathered(program, view):
+    """One round in which each node takes the aggregate of its in-neighbours' ids."""
+
+    def run(spark, d):
+        g = graph(spark, d, view)
+        return engine.gather(g, program, g.nodes().select("node", F.col("node").cast("double" if program.name == "neighbour_median" else "long").alias("value")))
+
+    return run
+
+
+def forest(view):
+    return lambda spark, d: extras.spanning_forest(VIEWS[view](spark, d))
+
+
+def loads_per_node(view):
+    """A worker for each frontier node: the greatest load of a superstep is its greatest degree."""
+
+    def run(spark, d):
+        found = engine.bfs(graph(spark, d, view), [source(view)], "BS", options=Options("per_node", record=True), max_supersteps=STEPS)
+        return found.worker_loads.groupBy("superstep").agg(F.max("load").alias("makespan"), F.countDistinct("worker").alias("workers"))
+
+    return run
+
+
 def hp_sublists(view, switch_below=SWITCH):
     def run(spark, d):
         g = graph(spark, d, view)
@@ -184,7 +287,7 @@ def rank_memory(view):
 
 def search(program, strategy, view):
     def run(spark, d):
-        found = getattr(engine, program)(graph(spark, d, view), [source(view)], strategy, options=Options(WORKERS, switch_below=SWITCH), max_supersteps=CAPS.get(view))
+        found = getattr(engine, program)(graph(spark, d, view), [source(view)], strategy, options=Options(WORKERS, switch_below=SWITCH))
         return found.state.select("node", F.col("value").alias("level" if program == "bfs" else "dist"))
 
     return run
@@ -208,7 +311,7 @@ def level_sizes(view):
 
 
 def components(view):
-    return lambda spark, d: engine.components(graph(spark, d, view), "EP", max_supersteps=6).state.select("node", F.col("value").alias("label"))
+    return lambda spark, d: engine.components(graph(spark, d, view), "EP").state.select("node", F.col("value").alias("label"))
 
 
 def widest(view):
@@ -261,8 +364,26 @@ def hp_tail_example(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def betweenness(view):
-    """Dependencies on paths from the view's source."""
-    return lambda spark, d: extras.betweenness(graph(spark, d, view), [source(view)])
+    """Over paths from all nodes to all nodes."""
+    return lambda spark, d: extras.betweenness(graph(spark, d, view))
+
+
+def dependencies(view):
+    """The part of betweenness that the paths from the view's source give."""
+    return lambda spark, d: extras.dependencies(graph(spark, d, view), source(view))
+
+
+def rank_time(view):
+    """Strategies in order of makespan, of four-byte words and of ease of building: three axes."""
+
+    def run(spark, d):
+        spans = balance(view)(spark, d).groupBy("strategy").agg(F.sum("makespan").alias("makespan"))
+        ease = spark.createDataFrame(list(ms.COMPLEXITY.items()), "strategy string, ease int")
+        order = lambda c: F.rank().over(Window.partitionBy(F.lit(0)).orderBy(c))  # noqa: E731  (five rows)
+        rows = spans.join(memory(view)(spark, d).select("strategy", "words"), "strategy").join(ease, "strategy")
+        return rows.select("strategy", order("makespan").alias("time_rank"), order("words").alias("memory_rank"), order("ease").alias("ease_rank"))
+
+    return run
 
 
 def udtf_split_node(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -298,14 +419,25 @@ def queries() -> dict[str, Query]:
         for s in ms.STRATEGIES:
             out[f"bfs_{s.lower()}_{v}"] = search("bfs", s, v)
     for s in ms.STRATEGIES:
-        out[f"sssp_{s.lower()}_part_next"] = search("sssp", s, "part_next")
-    out["sssp_wd_order_part"] = search("sssp", "WD", "order_part")
-    out["bfs_wd_part_grid"], out["sssp_ns_part_grid"] = search("bfs", "WD", "part_grid"), search("sssp", "NS", "part_grid")
-    out["bfs_hp_event_lattice"], out["bfs_ep_fk_entities"] = search("bfs", "HP", "event_lattice"), search("bfs", "EP", "fk_entities")
+        for v in SSSP_VIEWS:
+            out[f"sssp_{s.lower()}_{v}"] = search("sssp", s, v)
+        out[f"bfs_{s.lower()}_event_lattice"] = search("bfs", s, "event_lattice")
+    out["bfs_wd_part_grid"] = search("bfs", "WD", "part_grid")
+    out["bfs_ep_token_bigram"], out["sssp_hp_token_bigram"] = search("bfs", "EP", "token_bigram"), search("sssp", "HP", "token_bigram")
+    out["bfs_ep_fk_entities"] = search("bfs", "EP", "fk_entities")
+    for name, (program, s, v, options) in VARIANTS.items():
+        out[name] = variant(program, s, v, **options)
+    for v in ("part_next", "event_hub"):
+        out[f"tasks_hold_workers_{v}"], out[f"ep_chunking_{v}"], out[f"run_metrics_{v}"], out[f"rank_strategies_{v}"] = tasks_hold_workers(v), ep_chunking(v), run_metrics(v, "WD"), rank_time(v)
+        out[f"wd_range_join_{v}"] = wd_range_join(v)
+    out["loads_per_node_event_hub"] = loads_per_node("event_hub")
+    out["bfs_multi_part_next"] = multi_source("part_next")
+    out["neighbour_median_part_next"], out["weighted_sum_part_next"] = gathered(programs.NEIGHBOUR_MEDIAN, "part_next"), gathered(programs.WEIGHTED_SUM, "part_next")
+    out["spanning_forest_part_next"], out["spanning_forest_part_grid"] = forest("part_next"), forest("part_grid")
     out["components_event_hub"], out["widest_supplier_part"] = components("event_hub"), widest("supplier_part")
     out["strategies_agree_supplier_part"] = agree("supplier_part")
     out["distributive_check"] = distributive_check
-    out["betweenness_part_next"] = betweenness("part_next")
+    out["betweenness_turn_chain"], out["dependencies_part_next"] = betweenness("turn_chain"), dependencies("part_next")
     out |= {f.__name__: f for f in (udtf_split_node, udtf_frontier_blocks)}
     out |= {f.__name__: f for f in (wd_blocks_example, ns_split_example, hp_sublists_example, hp_tail_example)}
     out["gen_rmat"] = lambda spark, d: generators.rmat(spark, 8, 2048, 42)
