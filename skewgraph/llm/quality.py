@@ -3,11 +3,13 @@
 Word 1-grams and 2-grams of every text are hashed to ``buckets`` cells.  Two multinomials over the
 cells are counted, one over the trusted documents and one over the whole corpus, and a document's
 score is the mean over its n-grams of ``log p_trusted - log p_raw`` (length-normalised, so that long
-texts are not favoured).  A document is kept if it passes the base rules and its score reaches a
-fixed threshold.
+texts are not favoured).  A few words averaged over a long text don't show there, so a second ratio of the same
+kind sets documents labelled toxic against the corpus, over cells of lower-cased words and of their first
+``PREFIX`` bytes, counted once a document; a text's toxicity is its strongest run of ``WINDOW`` words.  A document is
+kept if it passes the base rules, its score reaches a fixed threshold and its toxicity stays below another.
 
 Counts leave each task as one row per cell and kind, never as one row per word, so a hot source
-costs its own tasks only; the model is two arrays of ``buckets`` numbers whatever the input.
+costs its own tasks only; the model is arrays of ``buckets`` and ``TOXIC_BUCKETS`` numbers whatever the input.
 """
 
 from __future__ import annotations
@@ -28,6 +30,12 @@ BUCKETS = 1 << 16
 THRESHOLD = -0.15
 #: Pseudo-count of every cell, as a share of the cell's raw probability.
 PRIOR = 20_000.0
+#: Cells of the toxic ratio; documents added to its observed and expected counts of each cell, so that rare words say little.
+TOXIC_BUCKETS, TOXIC_PRIOR = 1 << 17, 8.0
+#: Words of a run, the log-ratio's sum at which a run is toxic, and the least that a word can take from it.
+WINDOW, TOXIC_RUN, TOXIC_FLOOR = 10, 2.6, -0.5
+#: Bytes of a word's beginning that are a feature of their own.
+PREFIX = 5
 _SYMBOLS = b"#*$%&|<>"
 _SPACES = b" \t\n\v\f\r"
 #: Hashes of words seen by this worker; emptied when full.
@@ -44,14 +52,27 @@ class _WordHash(dict):
         return value
 
 
-_HASHES = _WordHash()
+class _StemHash(dict):
+    """word -> cells of the lower-cased word and of its beginning, the latter in the high half; short words are their own beginning."""
+
+    def __missing__(self, word: bytes) -> int:
+        if len(self) >= _CACHE_WORDS:
+            self.clear()
+        low = word.lower()
+        whole = zlib.crc32(low) % TOXIC_BUCKETS
+        value = self[word] = (zlib.crc32(low[:PREFIX], PREFIX) % TOXIC_BUCKETS if len(low) > PREFIX else whole) << 32 | whole
+        return value
+
+
+_HASHES, _STEMS = _WordHash(), _StemHash()
 
 
 @dataclass(frozen=True)
 class RatioModel:
-    """Log-ratios of the cells."""
+    """Log-ratios of the cells; ``toxic``: those of the toxic ratio, none without labels."""
 
     weights: np.ndarray
+    toxic: np.ndarray | None = None
 
     @property
     def buckets(self) -> int:
@@ -64,6 +85,21 @@ def cells(words: list[bytes], buckets: int) -> np.ndarray:
     return _cells(h, buckets)
 
 
+def stems(words: list[bytes]) -> np.ndarray:
+    """Cells of each word and of its beginning (2 x words)."""
+    h = np.fromiter(map(_STEMS.__getitem__, words), np.int64, len(words))
+    return np.stack([h & 0xFFFFFFFF, h >> 32])
+
+
+def toxicity(found: np.ndarray, weights: np.ndarray) -> float:
+    """The greatest sum over ``WINDOW`` neighbouring words (all, if fewer) of the stronger ratio of a word and its beginning."""
+    each = np.maximum(weights[found].max(axis=0), TOXIC_FLOOR)
+    if len(each) <= WINDOW:
+        return float(each.sum())
+    run = np.concatenate([[0.0], np.cumsum(each, dtype=np.float64)])
+    return float((run[WINDOW:] - run[:-WINDOW]).max())
+
+
 def _mix(x: np.ndarray) -> np.ndarray:
     with np.errstate(over="ignore"):
         x = (x ^ (x >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
@@ -119,60 +155,90 @@ def _repeats(ids: np.ndarray) -> int:
     return repeated_words(ids)
 
 
-def fit(docs: DataFrame, trusted: DataFrame, buckets: int = BUCKETS, prior: float = PRIOR) -> RatioModel:
-    """Count both multinomials over every text.
+def fit(docs: DataFrame, trusted: DataFrame, flagged: DataFrame | None = None, buckets: int = BUCKETS, prior: float = PRIOR) -> RatioModel:
+    """Count the multinomials over every text.
 
-    ``docs``: ``doc_id``, ``text`` (null: no words); further columns are ignored.  ``trusted``: the
-    ``doc_id`` of trusted documents, repeats and nulls allowed.  Without any trusted text all log-ratios
-    are zero.  The trusted cells are smoothed towards the raw distribution by ``prior`` n-grams.
+    ``docs``: ``doc_id``, ``text`` (null: no words); further columns are ignored, whatever their names.  ``trusted``,
+    ``flagged``: the ``doc_id`` of trusted and of toxic documents, repeats and nulls allowed.  Without any trusted text
+    all log-ratios are zero; without any flagged one no text is toxic.  The trusted cells are smoothed towards the raw
+    distribution by ``prior`` n-grams.  Rows that repeat a document count each; an empty table gives zeros.
     """
-    ids = Shared(trusted.select(F.col("doc_id").alias("_id")).where("_id is not null").distinct(), "trusted")
+    marks = trusted.select(F.col("doc_id").alias("_id"), F.lit(1).alias("trusted"), F.lit(0).alias("flagged"))
+    if flagged is not None:
+        marks = marks.unionByName(flagged.select(F.col("doc_id").alias("_id"), F.lit(0).alias("trusted"), F.lit(1).alias("flagged")))
+    ids = Shared(marks.where("_id is not null").groupBy("_id").agg(F.max("trusted").alias("trusted"), F.max("flagged").alias("flagged")), "marked")
     marked = docs.select("doc_id", "text").join(beside(ids.frame), F.col("doc_id") == F.col("_id"), "left")
     rows = (
-        marked.select("text", F.col("_id").isNotNull().alias("trusted"))
-        .mapInArrow(_counter(buckets), "cell int, trusted long, raw long")
+        marked.select("text", F.coalesce("trusted", F.lit(0)).alias("trusted"), F.coalesce("flagged", F.lit(0)).alias("flagged"))
+        .mapInArrow(_counter(buckets, flagged is not None), "cell int, marked long, raw long")
         .groupBy("cell")
-        .agg(F.sum("trusted").alias("trusted"), F.sum("raw").alias("raw"))
+        .agg(F.sum("marked").alias("marked"), F.sum("raw").alias("raw"))
         .toArrow()
     )
     ids.drop()
-    trusted_n, raw_n = np.zeros(buckets), np.zeros(buckets)
+    marked_n, raw_n = np.zeros(buckets + TOXIC_BUCKETS + 1), np.zeros(buckets + TOXIC_BUCKETS + 1)
     at = rows["cell"].to_numpy()
-    trusted_n[at], raw_n[at] = rows["trusted"].to_numpy(), rows["raw"].to_numpy()
+    marked_n[at], raw_n[at] = rows["marked"].to_numpy(), rows["raw"].to_numpy()
+    return RatioModel(_ratios(marked_n[:buckets], raw_n[:buckets], prior), _toxic_ratios(marked_n[buckets:-1], raw_n[buckets:-1], marked_n[-1], raw_n[-1]))
+
+
+def _ratios(trusted_n: np.ndarray, raw_n: np.ndarray, prior: float) -> np.ndarray:
     if not trusted_n.sum():
-        return RatioModel(np.zeros(buckets, np.float32))
-    raw_p = (raw_n + 1) / (raw_n.sum() + buckets)
+        return np.zeros(len(raw_n), np.float32)
+    raw_p = (raw_n + 1) / (raw_n.sum() + len(raw_n))
     trusted_p = (trusted_n + prior * raw_p) / (trusted_n.sum() + prior)
-    return RatioModel((np.log(trusted_p) - np.log(raw_p)).astype(np.float32))
+    return (np.log(trusted_p) - np.log(raw_p)).astype(np.float32)
+
 
+def _toxic_ratios(toxic_n: np.ndarray, raw_n: np.ndarray, toxic_all: float, raw_all: float) -> np.ndarray | None:
+    """Observed over expected counts among ``toxic_all`` of ``raw_all`` marks, both with ``TOXIC_PRIOR`` added."""
+    if not toxic_all:
+        return None
+    expected = (raw_n + 1) / (raw_all + len(raw_n)) * toxic_all
+    return np.log((toxic_n + TOXIC_PRIOR) / (expected + TOXIC_PRIOR)).astype(np.float32)
+
+
+def _counter(buckets: int, toxic: bool):
+    """Cells of n-grams with their trusted and raw counts; beyond ``buckets`` cells of words with the toxic and all documents that hold them, and at the very end the sums of these."""
 
-def _counter(buckets: int):
     def count(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((2, buckets), np.int64)
+        held = np.zeros((2, TOXIC_BUCKETS + 1), np.int64)
         for batch, texts in slices(batches, "text"):
             marks = batch.column("trusted").to_pylist()
-            for mark in (False, True):
-                got = [cells(words_of(t), buckets) for t, m in zip(texts, marks, strict=True) if m is mark and t]
+            words = [words_of(t) for t in texts]
+            for mark in (0, 1):
+                got = [cells(w, buckets) for w, m in zip(words, marks, strict=True) if m == mark and w]
                 if got:
-                    total[int(mark)] += np.bincount(np.concatenate(got), minlength=buckets)
-        raw = total.sum(axis=0)
+                    total[mark] += np.bincount(np.concatenate(got), minlength=buckets)
+            if not toxic:
+                continue
+            marks = batch.column("flagged").to_pylist()
+            for mark in (0, 1):
+                got = [np.unique(stems(w)) for w, m in zip(words, marks, strict=True) if m == mark and w]
+                if got:
+                    every = np.concatenate(got)
+                    held[mark, :-1] += np.bincount(every, minlength=TOXIC_BUCKETS)
+                    held[mark, -1] += len(every)
+        raw = np.concatenate([total.sum(axis=0), held.sum(axis=0)])
+        marked = np.concatenate([total[1], held[1]])
         at = np.flatnonzero(raw)
-        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[1][at]), pa.array(raw[at])], ["cell", "trusted", "raw"])
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(marked[at]), pa.array(raw[at])], ["cell", "marked", "raw"])
 
     return count
 
 
-SCORED = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, score double, base_failed boolean, kept boolean"
+SCORED = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, score double, toxicity double, base_failed boolean, kept boolean"
 
 
-def judge(docs: DataFrame, model: RatioModel, threshold: float = THRESHOLD, keep_columns: bool = False) -> DataFrame:
-    """Base counts, score and verdict of every document.
+def judge(docs: DataFrame, model: RatioModel, threshold: float = THRESHOLD, toxic_run: float = TOXIC_RUN, keep_columns: bool = False) -> DataFrame:
+    """Base counts, score, toxicity and verdict of every document.
 
-    Null and empty texts have no words, score 0 and fail the base rule; repeated rows are judged one by
-    one; ties with the threshold are kept.  ``keep_columns`` returns the kept documents' own columns
-    instead of the measures.
+    Null and empty texts have no words, score and toxicity 0 and fail the base rule; repeated rows are judged one by
+    one; ties with ``threshold`` are kept, with ``toxic_run`` rejected.  ``keep_columns`` returns the kept documents'
+    own columns, whatever their names, instead of the measures.  An empty table gives an empty result.
     """
-    weights = model.weights
+    weights, toxic = model.weights, model.toxic
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "text"):
@@ -183,12 +249,13 @@ def judge(docs: DataFrame, model: RatioModel, threshold: float = THRESHOLD, keep
                 counts = base_counts(text, words)
                 score = float(weights[cells(words, len(weights))].mean(dtype=np.float64)) if n else 0.0
                 failed = n < 10 or 100 * counts[3] > 20 * n
-                rows.append((n, *counts, score, failed, not failed and score >= threshold))
+                harm = toxicity(stems(words), toxic) if n and toxic is not None else 0.0
+                rows.append((n, *counts, score, harm, failed, not failed and score >= threshold and harm < toxic_run))
             cols = list(zip(*rows, strict=True))
             if keep_columns:
                 yield batch.filter(pa.array(cols[-1], pa.bool_()))
                 continue
-            kinds = [pa.int64()] * 5 + [pa.float64(), pa.bool_(), pa.bool_()]
+            kinds = [pa.int64()] * 5 + [pa.float64()] * 2 + [pa.bool_()] * 2
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names)
 
     names = [x.split()[0] for x in SCORED.split(", ")]
@@ -200,3 +267,13 @@ def judge(docs: DataFrame, model: RatioModel, threshold: float = THRESHOLD, keep
 def trusted_ids(labels: DataFrame) -> DataFrame:
     """Documents whose labels all say good and not toxic."""
     return labels.groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).where("q = 1 and t = 0").select("doc_id")
+
+
+def toxic_ids(labels: DataFrame) -> DataFrame:
+    """Documents that some label calls toxic."""
+    return labels.where("toxic = 1").select("doc_id").distinct()
+
+
+def fit_labelled(docs: DataFrame, labels: DataFrame) -> RatioModel:
+    """Both ratios from ``labels`` (``doc_id``, ``quality``, ``toxic``)."""
+    return fit(docs, trusted_ids(labels), toxic_ids(labels))

@@ -25,7 +25,7 @@ def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    model = quality.fit(docs, quality.trusted_ids(spark.read.parquet(f"{sf_dir}/labels.parquet")))
+    model = quality.fit_labelled(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     return quality.judge(docs, model)
 
 
