@@ -2,14 +2,18 @@
 
 Lines are normalised (lower case, digits alike, ASCII punctuation dropped, white space even) and get
 ``BANDS`` MinHashes of ``ROWS`` values each, and a SimHash, of their longer words.  Equal normalised lines
-collapse first.  Lines that share a band, are of like length and have SimHashes within ``k`` bits are
-candidates; only those that have such a partner bring their text, and a pair counts if its edit similarity
-reaches ``similarity``.  Of each connected group the first occurrence stays and all others go.
+collapse first, whatever their length.  Lines that share a band, are of like length and have SimHashes within
+``k`` bits are candidates; only those that have such a partner bring their text, and a pair counts if its edit
+similarity reaches ``similarity``.  Of each connected group the first occurrence stays and all others go; lines
+without a letter or digit always stay.
+
+Words, line digests and fingerprints are computed for whole chunks of text at once, as arrays over its bytes.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -27,38 +31,86 @@ K = 23
 SIMILARITY = 0.8
 #: MinHash bands, and values of a band: lines that share 65 % of their longer words meet with a chance of 99 %.
 BANDS, ROWS = 14, 3
-#: Lines of fewer words are left alone: they recur in clean texts.
-MIN_WORDS = 5
 #: Words of up to so many bytes say little about a line: they only count where it has no longer ones.
 SHORT_WORD = 4
 _DROP = bytes(c for c in range(33, 127) if not chr(c).isalnum())
 _DIGITS = bytes.maketrans(b"0123456789", b"0" * 10)
-_CACHE_WORDS = 300_000
-
-
-class _WordHash(dict):
-    """word -> 64-bit hash, computed on a miss."""
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= _CACHE_WORDS:
-            self.clear()
-        value = self[word] = xxh64_intdigest(word)
-        return value
-
-
-_HASHES = _WordHash()
+_STEP = 0x9E3779B97F4A7C15
+#: Powers of an odd number, by which bytes of a word and words of a line are weighted; longer ones begin anew.
+_POWERS = np.array([pow(_STEP, i + 1, 1 << 64) for i in range(4096)], np.uint64)
 
 
 def normal_words(line: bytes) -> list[bytes]:
     return line.translate(_DIGITS, _DROP).split()
 
 
-def _lowered(text: bytes) -> list[bytes]:
-    return text.decode().lower().encode().split(b"\n")
-
-
-def edit_distance(a: str, b: str) -> int:
-    """Levenshtein distance by bit-parallel columns; common ends are cut first."""
+def _lowered(text: bytes) -> bytes:
+    return text if text.isascii() and text.islower() else text.decode().lower().encode()
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+        return x ^ (x >> np.uint64(32))
+
+
+def _weighted(values: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """64-bit digests of consecutive runs of numbers."""
+    at = np.arange(len(values)) - np.repeat(starts, sizes)
+    with np.errstate(over="ignore"):
+        return _mixed(np.add.reduceat(values * _POWERS[at & 4095] ^ (at >> 12).astype(np.uint64), starts) + sizes.astype(np.uint64))
+
+
+@dataclass(frozen=True)
+class _Lines:
+    """The lines with words of some texts: where they stand, their digests, sizes in characters and telling words."""
+
+    text: np.ndarray
+    line: np.ndarray
+    h: np.ndarray
+    size: np.ndarray
+    words: np.ndarray
+    n_words: np.ndarray
+
+
+def _digested(texts: list[bytes]) -> _Lines | None:
+    """All lines of ``texts`` at once.  A line's digest depends on its normalised words and their order alone."""
+    data = b"\n\0".join(_lowered(t).replace(b"\0", b"") for t in texts)  # a null byte begins each further text
+    codes = np.frombuffer(data.translate(_DIGITS, _DROP) + b" ", np.uint8)
+    space = (codes == 32) | ((codes >= 9) & (codes <= 13)) | (codes == 0)
+    edge = np.diff(np.concatenate([[True], space]).view(np.int8))
+    starts, ends = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
+    if not len(starts):
+        return None
+    if len(ends) < len(starts):
+        ends = np.append(ends, len(codes))
+    sizes = ends - starts
+    inside = codes[~space]
+    first = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+    word = _weighted(inside.astype(np.uint64), first, sizes)
+    chars = np.add.reduceat(((inside & 0xC0) != 0x80).astype(np.int64), first)
+    row = np.cumsum(codes == 10)[starts]
+    heads = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]]))
+    per_line = np.diff(np.append(heads, len(row)))
+    telling = sizes > SHORT_WORD
+    none = np.add.reduceat(telling.astype(np.int64), heads) == 0
+    telling |= np.repeat(none, per_line)
+    first_row = np.concatenate([[0], np.cumsum(codes == 10)[np.flatnonzero(codes == 0)]])
+    line_row = row[heads]
+    text = np.searchsorted(first_row, line_row, side="right") - 1
+    return _Lines(text, line_row - first_row[text], _weighted(word, heads, per_line), np.add.reduceat(chars, heads) + per_line - 1, word[telling], np.add.reduceat(telling.astype(np.int64), heads))
+
+
+def _bits(x: int, n: int) -> np.ndarray:
+    """The ``n`` lowest bits of a number, the lowest first."""
+    return np.unpackbits(np.frombuffer(x.to_bytes((n + 7) // 8, "little"), np.uint8), count=n, bitorder="little").astype(np.int32)
+
+
+def edit_distance(a: str, b: str, most: float | None = None) -> int:
+    """Levenshtein distance by bit-parallel columns; common ends are cut first.
+
+    With ``most``, a column from whose cells no way leads to the end for that much ends it: the distance is more.
+    """
     start, most = 0, min(len(a), len(b))
     while start < most and a[start] == b[start]:
         start += 1
@@ -73,7 +125,12 @@ def edit_distance(a: str, b: str) -> int:
         at[c] = at.get(c, 0) | 1 << i
     full, last, score = (1 << len(a)) - 1, 1 << (len(a) - 1), len(a)
     up, down = full, 0  # where a cell is one more, one less, than the cell above
-    for c in b:
+    for n, c in enumerate(b):
+        if most is not None and n and not n % 256:
+            cells = np.concatenate([[n], n + np.cumsum(_bits(up, len(a)) - _bits(down, len(a)))])
+            ahead = np.abs(np.arange(len(a), -1, -1) - (len(b) - n))
+            if (least := int((cells + ahead).min())) > most:
+                return least
         same = at.get(c, 0)
         keep = same | down
         across = ((((same & up) + up) ^ up) | same) & full
@@ -84,41 +141,55 @@ def edit_distance(a: str, b: str) -> int:
     return score
 
 
+def _bound(a: str, b: str, most: float) -> int:
+    """An upper bound of the distance: words that both have in order stay, what lies between is rewritten."""
+    x, y = a.split(" "), b.split(" ")
+    places: dict[tuple[str, str], int] = {}
+    for q in range(len(y) - 1, 0, -1):
+        places[y[q - 1], y[q]] = q - 1
+    i = j = cost = 0
+    width = lambda part: sum(map(len, part)) + len(part)
+    while i < len(x) and j < len(y):
+        if x[i] == y[j]:
+            i, j = i + 1, j + 1
+            continue
+        for p in range(i, len(x) - 1):
+            q = places.get((x[p], x[p + 1]), -1)
+            if q >= j:
+                break
+        else:
+            break
+        cost += max(width(x[i:p]), width(y[j:q]))
+        if cost > most:
+            return cost
+        i, j = p, q
+    return cost + max(width(x[i:]), width(y[j:]))
+
+
 def alike(a: str, b: str, similarity: float) -> bool:
     """Whether ``1 - distance / longer length`` reaches ``similarity``."""
     longer = max(len(a), len(b))
     most = (1 - similarity) * longer + 1e-9
-    return abs(len(a) - len(b)) <= most and edit_distance(a, b) <= most
+    return abs(len(a) - len(b)) <= most and (_bound(a, b, most) <= most or edit_distance(a, b, most) <= most)
 
 
 LINES = "doc_id long, line int, h long, raw long, fp long, size int, bands array<int>"
 
 
-def line_hashes(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """``doc_id``, ``line`` (from 0), ``h`` (of the normalised line), ``raw`` (Spark's ``xxhash64`` of the line), ``fp`` (SimHash), ``size`` (characters of the normalised line), ``bands`` of every line of ``min_words`` or more."""
+def line_hashes(docs: DataFrame) -> DataFrame:
+    """``doc_id``, ``line`` (from 0), ``h`` (of the normalised line), ``raw`` (Spark's ``xxhash64`` of the line), ``fp`` (SimHash), ``size`` (characters of the normalised line), ``bands`` of every line with words."""
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "text"):
-            doc_ids, numbers, keys, raw, lengths, every, sizes = [], [], [], [], [], [], []
-            for doc, text in zip(batch.column("doc_id").to_pylist(), texts, strict=True):
-                given = text.split(b"\n")
-                for i, line in enumerate(given if text.isascii() and text.islower() else _lowered(text)):
-                    if len(line) >= 2 * min_words - 1 and len(words := normal_words(line)) >= min_words:
-                        doc_ids.append(doc)
-                        numbers.append(i)
-                        normal = b" ".join(words)
-                        keys.append(xxh64_intdigest(normal))
-                        lengths.append(len(normal) if normal.isascii() else len(normal.decode()))
-                        raw.append(xxh64_intdigest(given[i], 42))
-                        telling = [w for w in words if len(w) > SHORT_WORD] or words
-                        every += telling
-                        sizes.append(len(telling))
-            if doc_ids:
-                words_of_all, sizes = np.fromiter(map(_HASHES.__getitem__, every), np.uint64, len(every)), np.array(sizes, np.int64)
-                fp, found = majority(words_of_all, sizes), bands(words_of_all, sizes, BANDS, ROWS)
-                lists = pa.ListArray.from_arrays(pa.array(np.arange(0, found.size + 1, BANDS, dtype=np.int32)), pa.array(found.ravel()))
-                hashes = (np.array(x, np.uint64).view(np.int64) for x in (keys, raw))
-                yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(numbers, pa.int32()), *map(pa.array, hashes), pa.array(fp.view(np.int64)), pa.array(lengths, pa.int32()), lists], ["doc_id", "line", "h", "raw", "fp", "size", "bands"])
+            if (found := _digested(texts)) is None:
+                continue
+            given = [t.split(b"\n") for t in texts]
+            raw = np.fromiter((xxh64_intdigest(given[t][i], 42) for t, i in zip(found.text.tolist(), found.line.tolist(), strict=True)), np.uint64, len(found.text))
+            fp, marks = majority(found.words, found.n_words), bands(found.words, found.n_words, BANDS, ROWS)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, marks.size + 1, BANDS, dtype=np.int32)), pa.array(marks.ravel()))
+            doc_ids = batch.column("doc_id").take(pa.array(found.text))
+            hashes = (pa.array(x.view(np.int64)) for x in (found.h, raw, fp))
+            yield pa.RecordBatch.from_arrays([doc_ids, pa.array(found.line.astype(np.int32)), *hashes, pa.array(found.size.astype(np.int32)), lists], ["doc_id", "line", "h", "raw", "fp", "size", "bands"])
 
     return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(work, LINES)
 
@@ -130,20 +201,44 @@ def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "text"):
-            rows = []
+            picked = []
             for text, own in zip(texts, batch.column("wanted").to_pylist(), strict=True):
-                lines = _lowered(text)
-                for x in own:
-                    if x["line"] < len(lines):
-                        line = b" ".join(normal_words(lines[x["line"]]))
-                        if np.uint64(xxh64_intdigest(line)).astype(np.int64) == x["id"]:  # another row may repeat the doc_id
-                            rows.append((x["id"], x["fp"], line.decode()))
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.string()), strict=True)], ["id", "fp", "text"])
+                lines = _lowered(text).split(b"\n")
+                picked += [(x["id"], x["fp"], b" ".join(normal_words(lines[x["line"]].replace(b"\0", b"")))) for x in own if x["line"] < len(lines)]
+            picked = [x for x in picked if x[2]]
+            found = _digested([x[2] for x in picked]) if picked else None
+            if found is None:
+                continue
+            ids = np.array([x[0] for x in picked], np.int64)
+            keep = np.flatnonzero(found.h.view(np.int64) == ids)  # another row may repeat the doc_id
+            cols = zip(*(picked[i] for i in keep.tolist()), strict=True)
+            if len(keep):
+                ids, fps, own = cols
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(fps, pa.int64()), pa.array([x.decode() for x in own], pa.string())], ["id", "fp", "text"])
 
     return held.mapInArrow(work, "id long, fp long, text string").dropDuplicates(["id"])
 
 
+def _met(sig: np.ndarray, fp: np.ndarray, at: np.ndarray, held: np.ndarray, k: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Index pairs of one signature within ``k`` bits that share no earlier band, for small groups all at once, for a large one row by row."""
+    cuts = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]]))
+    sizes = np.diff(np.append(cuts, len(sig)))
+    size_of = np.repeat(sizes, sizes)
+    earlier = np.arange(held.shape[1])[None, :] < at[:, None]
+    new = lambda i, j: ~((held[i] == held[j]) & earlier[i]).any(axis=1)
+    for d in range(1, min(64, int(sizes.max(initial=1)))):
+        i = np.flatnonzero((sig[d:] == sig[:-d]) & (size_of[:-d] <= 64))
+        i = i[np.bitwise_count(fp[i] ^ fp[i + d]) <= k]
+        i = i[new(i, i + d)]
+        yield i, i + d
+    for start, size in zip(cuts[sizes > 64].tolist(), sizes[sizes > 64].tolist(), strict=True):
+        for i in range(start, start + size - 1):
+            j = np.flatnonzero(np.bitwise_count(fp[i + 1 : start + size] ^ fp[i]) <= k) + i + 1
+            i_of = np.full(len(j), i)
+            keep = new(i_of, j)
+            yield i_of[keep], j[keep]
+
+
 def _verifier(k: int, similarity: float):
     """Links between a signature's lines: near in bits and alike in text, unless others link them already.
 
@@ -153,20 +248,21 @@ def _verifier(k: int, similarity: float):
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in segments(batches):
             sig, fp, ids, texts = part["sig"].to_numpy(), part["fp"].to_numpy().view(np.uint64), part["id"].to_numpy(), part["text"].to_pylist()
-            at, held = part["at"].to_numpy(), np.array(part["bands"].to_pylist(), np.int32)
-            cuts = [*np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]])).tolist(), len(sig)]
+            at, held = part["at"].to_numpy(), part["bands"].combine_chunks().flatten().to_numpy().reshape(-1, BANDS)
+            own = np.unique(ids, return_inverse=True)[1]
+            root = np.arange(own.max(initial=0) + 1)
             left, right = [], []
-            for start, end in zip(cuts[:-1], cuts[1:], strict=True):
-                group = np.arange(end - start)
-                for i in range(start, end - 1):
-                    near = np.flatnonzero(np.bitwise_count(fp[i + 1 : end] ^ fp[i]) <= k) + i + 1
-                    near = near[~(held[near, : at[i]] == held[i, : at[i]]).any(axis=1)]
-                    for j in near.tolist():
-                        a, b = group[i - start], group[j - start]
-                        if a != b and alike(texts[i], texts[j], similarity):
-                            group[group == max(a, b)] = min(a, b)
-                            left.append(ids[i])
-                            right.append(ids[j])
+            for i, j in _met(sig, fp, at, held, k):
+                for a, b in zip(i.tolist(), j.tolist(), strict=True):
+                    x, y = own[a], own[b]
+                    while root[x] != x:
+                        x = root[x] = root[root[x]]
+                    while root[y] != y:
+                        y = root[y] = root[root[y]]
+                    if x != y and alike(texts[a], texts[b], similarity):
+                        root[max(x, y)] = min(x, y)
+                        left.append(ids[a])
+                        right.append(ids[b])
             yield pa.RecordBatch.from_arrays([pa.array(left, pa.int64()), pa.array(right, pa.int64())], ["a", "b"])
 
     return work
@@ -199,9 +295,9 @@ def line_links(docs: DataFrame, distinct: DataFrame, k: int = K, similarity: flo
     return dealt(held).mapInArrow(_verifier(k, similarity), "a long, b long").distinct()
 
 
-def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> Shared:
+def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY) -> Shared:
     """A written table ``doc_id``, ``gone`` (array of line, raw): each document's lines of which another occurrence stays."""
-    lines = Shared(line_hashes(docs, min_words), "lines")
+    lines = Shared(line_hashes(docs), "lines")
     first = F.min(F.struct("doc_id", "line")).alias("first")
     distinct = Shared(lines.frame.groupBy("h").agg(first, F.min("fp").alias("fp"), F.min("size").alias("size"), F.min("bands").alias("bands"), F.count("*").alias("n")).select(F.col("h").alias("id"), "fp", "size", "bands", "first.doc_id", "first.line", "n"), "distinct-lines")
     linked = components(line_links(docs, distinct.frame, k, similarity), "line-groups")
@@ -217,14 +313,14 @@ def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_wo
     return result
 
 
-def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> DataFrame:
+def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY) -> DataFrame:
     """The documents without repeated lines: their columns with ``text`` cut down, and ``n_lines``, ``n_removed``.
 
     Occurrences are ordered by ``doc_id``, then line.  Rows without a ``doc_id`` take no part and come back as
     they are, null texts too; rows that repeat a ``doc_id`` and text keep the same lines; a document may end
     up empty but never goes.
     """
-    own = beside(removals(docs, k, similarity, min_words).frame.withColumnRenamed("doc_id", "_doc"), "size(gone)")
+    own = beside(removals(docs, k, similarity).frame.withColumnRenamed("doc_id", "_doc"), "size(gone)")
     joined = docs.join(own, docs["doc_id"] == own["_doc"], "left").drop("_doc")
     given = F.split("text", "\n")
     # a row that repeats a doc_id with another text keeps lines that are not the ones meant
