@@ -5,8 +5,11 @@ streams, kept as a tree.  Where two streams agree the token stays; a token that
 optional; neighbouring repeats of a run of elements become one repeated group; text that differs becomes a
 slot, text that never differs is template.  Each task folds its own pages host by host, the partial
 wrappers of a host are merged, and the host's wrapper then says for each place whether its text is main
-text: inside the article (else the element that holds most of the variable text), and in no menu,
-header, footer, sidebar, notice, advert, form or comment.
+text.  Three things follow from the wrapper: where the content lies (the article or main element that a page has, else
+the element that holds most of the text in slots); which text there is template, since all pages that have the place
+have this very text; and which lists are menus, since nearly all their text is links.  What the wrapper leaves open,
+variable text beside the article's own, is judged by tag, role and name: menus, headers, footers, sidebars, notices,
+adverts, forms and comments go.
 """
 
 from __future__ import annotations
@@ -22,14 +25,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices
+from .common import Shared, slices
 
 #: Elements nested deeper than this are read as if their tags were absent.
 DEPTH = 100
 #: Longest run of elements that is looked for as a repeated group.
 PERIOD = 4
-#: Pages that must agree before unchanging text outside an article counts as template.
-TEMPLATE_PAGES = 3
+#: Pages that must agree before unchanging text counts as none of a place's content, and as template inside the content.
+SAME_PAGES, TEMPLATE_PAGES = 3, 8
+#: Share of link text from which a list is a menu.
+MENU_LINKS = 0.8
+#: Bytes of wrappers that may be broadcast; beyond, pages are dealt over ``SALTS`` groups a host.
+BESIDE_BYTES, SALTS = 64 << 20, 16
 _LCS = 250_000
 
 # Fixed values of HTML.
@@ -242,7 +249,7 @@ def fold(parts: list[Part], same_page: bool = True) -> list[Part]:
 def wrapper_of(node: Node) -> Part:
     """A single page's wrapper."""
     if node.label == "#":
-        return Part("#", fixed=zlib.crc32(node.text.encode()), chars=len(node.text), links=node.links)
+        return Part("#", fixed=digest(node.text), chars=len(node.text), links=node.links)
     return Part(node.label, children=fold([wrapper_of(x) for x in node.children]))
 
 
@@ -270,39 +277,37 @@ def unwanted(label: str, in_article: bool) -> bool:
 def _variable(part: Part) -> int:
     """Characters of slots that are no links."""
     if part.label == "#":
-        return max(0, part.chars - 2 * part.links) if part.fixed is None or part.pages < TEMPLATE_PAGES else 0
+        return max(0, part.chars - 2 * part.links) if part.fixed is None or part.pages < SAME_PAGES else 0
     return sum(map(_variable, part.children))
 
 
 @dataclass
 class Decisions:
-    """For each path of labels in a wrapper whether its text is main text."""
+    """What a host's wrapper says: the paths of its content, the texts that are template at a path, the paths of menus."""
 
-    kept: dict[tuple[str, ...], bool]
+    roots: set[tuple[str, ...]]
+    template: set[tuple[tuple[str, ...], int]]
+    menus: set[tuple[str, ...]]
 
     @classmethod
     def of(cls, wrapper: Part) -> Decisions:
-        kept: dict[tuple[str, ...], bool] = {}
-        roots = _roots(wrapper)
-        article = any(_named(r[-1])[0] in ("article", "main") or _named(r[-1])[3] in ("main", "article") for r in roots if r)
-
-        def walk(part: Part, path: tuple[str, ...], inside: bool, out: bool) -> None:
-            if part.label.startswith("("):
-                for child in part.children:
-                    walk(child, path, inside, out)
-                return
-            path = (*path, part.label)
-            if part.label == "#":
-                template = part.fixed is not None and part.pages >= TEMPLATE_PAGES and not article
-                kept[path] = kept.get(path, False) or inside and not out and not template
-                return
-            inside = inside or path in roots
-            out = out or unwanted(part.label, inside)
+        out = cls(_roots(wrapper), set(), set())
+        slots = _variable(wrapper) > 0  # pages that are all alike tell nothing of templates
+
+        def walk(part: Part, path: tuple[str, ...], listed: bool) -> None:
+            if not part.label.startswith("("):
+                path = (*path, part.label)
+            listed = listed or _named(part.label)[0] in ("ul", "ol", "dl", "menu")
+            if part.label == "#" and part.pages >= TEMPLATE_PAGES:
+                if slots and part.fixed is not None and not part.repeated:
+                    out.template.add((path, part.fixed))
+                if listed and part.links >= MENU_LINKS * part.chars:
+                    out.menus.add(path)
             for child in part.children:
-                walk(child, path, inside, out)
+                walk(child, path, listed)
 
-        walk(wrapper, (), False, False)
-        return cls(kept)
+        walk(wrapper, (), False)
+        return out
 
 
 def _roots(wrapper: Part) -> set[tuple[str, ...]]:
@@ -334,26 +339,43 @@ def _roots(wrapper: Part) -> set[tuple[str, ...]]:
         path, part = (*path, best.label), best
 
 
+def digest(text: str) -> int:
+    return zlib.crc32(text.encode())
+
+
 def main_text(node: Node, decisions: Decisions) -> str:
-    """Main text of a page by its host's wrapper; a place that the wrapper has not is judged by the page alone."""
+    """Main text of a page by its host's wrapper.
+
+    A page that has none of the wrapper's content places is searched for its own; one whose content is all template (a
+    page that its host repeats) keeps it.
+    """
+    paths: set[tuple[str, ...]] = set()
+
+    def seen(at: Node, path: tuple[str, ...]) -> None:
+        paths.add(path := (*path, at.label))
+        for child in at.children:
+            seen(child, path)
+
+    seen(node, ())
+    roots = (decisions.roots & paths) or _roots(wrapper_of(node))
     blocks: list[str] = []
-    alone: Decisions | None = None
+    fixed: list[str] = []
 
-    def walk(at: Node, path: tuple[str, ...]) -> None:
-        nonlocal alone
+    def walk(at: Node, path: tuple[str, ...], inside: bool, out: bool) -> None:
         path = (*path, at.label)
         if at.label == "#":
-            keep = decisions.kept.get(path)
-            if keep is None:
-                alone = alone or Decisions.of(wrapper_of(node))
-                keep = alone.kept.get(path, False)
-            if keep:
-                blocks.append(at.text)
+            if inside and not out and path not in decisions.menus:
+                fixed.append(at.text)
+                if (path, digest(at.text)) not in decisions.template:
+                    blocks.append(at.text)
+            return
+        inside = inside or path in roots
+        out = out or unwanted(at.label, inside)
         for child in at.children:
-            walk(child, path)
+            walk(child, path, inside, out)
 
-    walk(node, ())
-    return "\n".join(blocks)
+    walk(node, (), False, False)
+    return "\n".join(blocks or fixed)
 
 
 _HOST = r"^(?i:[a-z][a-z0-9+.-]*:)?//(?:[^/?#@]*@)?([^/?#:]*)"
@@ -411,7 +433,7 @@ _DECISIONS: dict[str, Decisions] = {}
 
 def _decisions(wrapper: str | None) -> Decisions:
     if wrapper is None:
-        return Decisions({})
+        return Decisions(set(), set(), set())
     if (found := _DECISIONS.get(wrapper)) is None:
         if len(_DECISIONS) >= 2000:
             _DECISIONS.clear()
@@ -419,14 +441,25 @@ def _decisions(wrapper: str | None) -> Decisions:
     return found
 
 
+def _with_wrappers(pages: DataFrame, wrappers: Shared) -> DataFrame:
+    """Pages (``_h``: host) beside their host's wrapper: broadcast if all wrappers together are small, else joined with each host's pages dealt over groups."""
+    held = wrappers.frame.withColumnRenamed("host", "_host")
+    if (held.agg(F.sum(F.octet_length("wrapper"))).first()[0] or 0) <= BESIDE_BYTES:
+        return pages.join(F.broadcast(held), F.col("_h") == F.col("_host"), "left")
+    salt = F.pmod(F.xxhash64("page_id", "url", F.length("html")), F.lit(SALTS))
+    copies = held.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    return pages.withColumn("_s", salt).join(copies, (F.col("_h") == F.col("_host")) & (F.col("_s") == F.col("_salt")), "left")
+
+
 def extract(pages: DataFrame) -> DataFrame:
     """``page_id``, ``url``, ``text``, ``n_chars`` of every page: its main text, blocks joined by one line break.
 
-    Null html is empty, a null url is a host of its own (the empty one), repeated rows give repeated results.
+    Null html is empty, a null url is a host of its own (the empty one), repeated rows give repeated results; further
+    columns are left out, whatever their names; an empty table gives an empty result.
     """
-    wrappers = infer(pages).withColumnRenamed("host", "_host")
-    own = pages.select(F.col("page_id").cast("long"), "url", "html").withColumn("_h", host("url"))
-    joined = own.join(wrappers, F.col("_h") == F.col("_host"), "left").select("page_id", "url", "html", "wrapper")
+    own = pages.select(F.col("page_id").cast("long"), "url", "html")
+    wrappers = Shared(infer(own), "wrappers")
+    joined = _with_wrappers(own.withColumn("_h", host("url")), wrappers).select("page_id", "url", "html", "wrapper")
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches, "html"):
