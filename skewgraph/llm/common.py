@@ -83,6 +83,13 @@ def beside(frame: DataFrame, weight: str = "1") -> DataFrame:
     return F.broadcast(frame) if n <= BESIDE_ROWS else frame
 
 
+def fresh(name: str, taken: list[str]) -> str:
+    """``name``, with underscores added until no column is called so."""
+    while name.lower() in {c.lower() for c in taken}:
+        name += "_"
+    return name
+
+
 class Shared:
     """A table written to the shared folder, which cuts lineage and outlives lost executors."""
 

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import Shared, beside, slices
+from .common import Shared, beside, fresh, slices
 from .components import components
 from .hamming import dealt, pairs, roots, segments, spread
 from .simhash import bands, majority
@@ -306,28 +306,38 @@ def removals(docs: DataFrame, k: int = K, similarity: float = SIMILARITY) -> Sha
     placed = distinct.frame.join(members, "id", "left").withColumn("root", F.coalesce("root", "id"))
     several = placed.groupBy("root").agg(first, F.sum("n").alias("n")).where("n > 1").select("root", "first")
     stays = placed.join(several, "root").select(F.col("id").alias("h"), F.col("first.doc_id").alias("_doc"), F.col("first.line").alias("_line"))
-    gone = lines.frame.join(stays, "h").where("doc_id <> _doc or line <> _line")
+    stays = Shared(stays, "groups-of-lines")
+    gone = lines.frame.join(beside(stays.frame), "h").where("doc_id <> _doc or line <> _line")
     result = Shared(gone.groupBy("doc_id").agg(F.collect_list(F.struct("line", "raw")).alias("gone")), "gone-lines")
-    for table in (lines, distinct, linked):
+    for table in (lines, distinct, linked, stays):
         table.drop()
     return result
 
 
-def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY) -> DataFrame:
+def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, measures: bool = True) -> DataFrame:
     """The documents without repeated lines: their columns with ``text`` cut down, and ``n_lines``, ``n_removed``.
 
-    Occurrences are ordered by ``doc_id``, then line.  Rows without a ``doc_id`` take no part and come back as
-    they are, null texts too; rows that repeat a ``doc_id`` and text keep the same lines; a document may end
-    up empty but never goes.
+    Occurrences are ordered by ``doc_id``, then line.  Rows without a ``doc_id`` take no part and come back as they are,
+    null texts too; rows that repeat a ``doc_id`` and text keep the same lines; a document may end up empty but never
+    goes; an empty table gives an empty result.  ``measures``: given columns called as the two are replaced by them;
+    without, the columns are the given ones, and documents that lost lines and have no word left go: all they held
+    stays elsewhere.  No other column name clashes.
     """
-    own = beside(removals(docs, k, similarity).frame.withColumnRenamed("doc_id", "_doc"), "size(gone)")
-    joined = docs.join(own, docs["doc_id"] == own["_doc"], "left").drop("_doc")
-    given = F.split("text", "\n")
-    # a row that repeats a doc_id with another text keeps lines that are not the ones meant
-    stays = F.filter(given, lambda x, i: ~F.array_contains("gone", F.struct(i.alias("line"), F.xxhash64(x).alias("raw"))))
-    text = F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(stays, "\n"))
+    doc, gone, given, cuts = (fresh(n, docs.columns) for n in ("_doc", "_gone", "_given", "_cuts"))
+    own = beside(removals(docs, k, similarity).frame.select(F.col("doc_id").alias(doc), F.col("gone").alias(gone)), f"size({gone})")
+    joined = docs.join(own, docs["doc_id"] == own[doc], "left").drop(doc).withColumn(given, F.split("text", "\n"))
+    # of a row that repeats a doc_id with another text only lines that are the ones meant go
+    meant = F.filter(F.coalesce(gone, F.array().cast("array<struct<line:int,raw:long>>")), lambda x: F.xxhash64(F.get(given, x["line"])) == x["raw"])
+    at = F.array_sort(F.array_distinct(F.transform(meant, lambda x: x["line"])))
+    joined = joined.withColumn(cuts, F.concat(F.array(F.lit(-1)), at, F.array(F.size(given))))
+    run = lambda i: F.slice(given, F.get(cuts, i) + 2, F.get(cuts, i + 1) - F.get(cuts, i) - 1)
+    stays = F.flatten(F.transform(F.sequence(F.lit(0), F.size(cuts) - 2), run))
+    cut = F.size(cuts) > 2
+    text = F.when(F.col("text").isNull() | ~cut, F.col("text")).otherwise(F.array_join(stays, "\n"))
     n_lines = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(given)).cast("long")
-    left = F.when(F.col("gone").isNull() | F.col("text").isNull(), n_lines).otherwise(F.size(stays)).cast("long")
-    rest = [F.col(c) for c in docs.columns]
-    rest[docs.columns.index("text")] = text.alias("text")
-    return joined.select(*rest, n_lines.alias("n_lines"), (n_lines - left).alias("n_removed"))
+    n_removed = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(cuts) - 2).cast("long")
+    kept = [c for c in docs.columns if not measures or c.lower() not in ("n_lines", "n_removed")]
+    out = joined.select(*(text.alias(c) if c == "text" else F.col(f"`{c}`") for c in kept), n_lines.alias(doc), n_removed.alias(gone))
+    if measures:
+        return out.withColumnsRenamed({doc: "n_lines", gone: "n_removed"})
+    return out.where((F.col(gone) == 0) | F.col("text").rlike(r"[^\x20\x09-\x0D]")).drop(doc, gone)

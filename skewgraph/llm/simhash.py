@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import Shared, beside, slices, words_of
+from .common import Shared, beside, fresh, slices, words_of
 from .components import components
 from .hamming import dealt, linker, links, roots, segments, spread
 
@@ -208,11 +208,12 @@ def keep_one(docs: DataFrame, width: int = 5, similarity: float = 0.8) -> DataFr
     """The documents that are the least of their group of similar texts; all columns.
 
     Texts without words are no copies of one another; of rows that repeat a ``doc_id`` with the same text one
-    stays; rows without a ``doc_id`` stay.
+    stays; rows without a ``doc_id`` stay; further columns stay, whatever their names; an empty table gives an empty result.
     """
     found = similar_groups(docs, width, similarity)
-    gone = beside(Shared(found.frame.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct(), "gone").frame)
-    kept = docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
+    name = fresh("_gone", docs.columns)
+    gone = beside(Shared(found.frame.where("doc_id <> component_id").select(F.col("doc_id").alias(name)).distinct(), "gone").frame)
+    kept = docs.join(gone, docs["doc_id"] == gone[name], "left_anti")
     if found.frame.groupBy("doc_id").count().where("count > 1").isEmpty():
         return kept
     return kept.where("doc_id is null").unionByName(kept.where("doc_id is not null").dropDuplicates(["doc_id", "text"]))
