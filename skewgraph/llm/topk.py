@@ -2,15 +2,16 @@
 
 A vector's dimensions are cut into ``lists``; a score is the sum of one partial score from each list.
 
-1. Every block of candidates gives, for each query and list, its ``k`` best entries.  Their whole scores
-   give a cutoff: the ``k``-th best of them all is at most the true ``k``-th best.
+1. Every block of candidates looks up, for each query and list, its ``k`` best entries and gives the ``k`` best of
+   their whole scores.  These give a cutoff: the ``k``-th best of them all is at most the true ``k``-th best.
 2. A candidate that reaches the cutoff must reach ``cutoff / lists`` in some list (else the sum would be
    less), whatever the signs.  With the cutoff beside its query, each block collects the entries that do.
 3. Only these are resolved to whole scores; those at the cutoff or above go to the final ranking.
 
-Queries and candidates meet block by block, so memory is that of two blocks whatever their numbers.
-Components become ``floor(1024 * x)``; sums are taken in doubles while they are exact and in integers
-of any size beyond.
+Queries and candidates meet block by block, so memory is that of two blocks whatever their numbers.  Query blocks
+are broadcast where their bytes are few, else candidate blocks are dealt over lanes and every lane gets the query
+blocks.  Components become ``floor(1024 * x)``; sums are taken in doubles while they are exact and in integers
+of any size beyond; a score beyond 64 bits is an error.
 """
 
 from __future__ import annotations
@@ -28,6 +29,10 @@ BLOCK = 2048
 QUERY_BLOCK = 512
 LISTS = 4
 SCALE = 1024
+#: Bytes of query blocks that may be broadcast; lanes of candidate blocks beyond.
+BESIDE_BYTES, LANES = 64 << 20, 64
+#: A cutoff that every score reaches, where a query has fewer than ``k`` candidates.
+NONE = -(1 << 63)
 _EXACT = float(1 << 53)
 
 
@@ -87,8 +92,9 @@ SCORES = "query_id long, vec_id long, score long"
 
 
 def _rows(q_ids: np.ndarray, c_ids: np.ndarray, i: np.ndarray, j: np.ndarray, score: np.ndarray) -> pa.RecordBatch:
-    low, high = -(1 << 63), (1 << 63) - 1
-    values = score.astype(np.int64) if score.dtype != object else np.array([min(max(int(x), low), high) for x in score], np.int64)
+    if score.dtype == object and any(not NONE < x < 1 << 63 for x in score.tolist()):
+        raise OverflowError("a score doesn't fit 64 bits")
+    values = score.astype(np.int64)
     return pa.RecordBatch.from_arrays([pa.array(q_ids[i]), pa.array(c_ids[j]), pa.array(values)], ["query_id", "vec_id", "score"])
 
 
@@ -107,7 +113,11 @@ def _local_lists(k: int, lists: int):
                     best = np.argsort(-part, axis=1, kind="stable")[:, :most] if part.dtype == object else np.argpartition(-part, most - 1, axis=1)[:, :most]
                     np.put_along_axis(picked, best, True, axis=1)
                 i, j = np.nonzero(picked & (q_ids[:, None] != c_ids[None, :]))
-                yield _rows(q_ids, c_ids, i, j, whole[i, j])
+                score = whole[i, j]
+                order = sorted(range(len(i)), key=lambda x: (i[x], -score[x])) if score.dtype == object else np.lexsort((-score, i))
+                i, j, score = i[order], j[order], score[order]
+                best = np.arange(len(i)) - np.searchsorted(i, i) < k
+                yield _rows(q_ids, c_ids, i[best], j[best], score[best])
 
     return work
 
@@ -122,7 +132,7 @@ def _resolve(lists: int):
                 cutoff = np.frombuffer(x["cutoffs"], np.int64)
                 c_ids, c = _open(x["ids"], x["data"], x["width"])
                 partial = _partial(q, c, lists)
-                reach = np.zeros((len(q), len(c)), bool)
+                reach = np.repeat((cutoff == NONE)[:, None], len(c), axis=1)
                 own = cutoff.astype(object) if partial[0].dtype == object else cutoff.astype(float)
                 for part in partial:
                     reach |= (part * len(partial) >= own[:, None]).astype(bool)
@@ -139,20 +149,30 @@ def _best(scores: DataFrame, k: int) -> DataFrame:
     return scores.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
+def _meeting(asked: DataFrame, queries: DataFrame, candidates: DataFrame) -> DataFrame:
+    """Every query block beside every candidate block of its width; ``asked``: the written query blocks, by which their bytes are known."""
+    meet = F.col("q_width") == F.col("width")
+    if (asked.agg(F.sum(F.octet_length("q_data"))).first()[0] or 0) <= BESIDE_BYTES:
+        return candidates.repartition(F.xxhash64("ids")).join(F.broadcast(queries), meet)
+    lanes = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(LANES - 1).cast("long")))
+    dealt = candidates.withColumn("lane", F.pmod(F.xxhash64("ids"), F.lit(LANES)))
+    return dealt.join(queries.withColumn("q_lane", lanes), meet & (F.col("q_lane") == F.col("lane")))
+
+
 def top_k(vectors: DataFrame, is_query: str, k: int = 10, lists: int = LISTS) -> DataFrame:
     """``query_id``, ``rank``, ``vec_id``, ``score``: each query's ``k`` best scores, ties to the smaller ``vec_id``.
 
     ``vectors``: ``vec_id``, ``embedding``; ``is_query``: SQL predicate of the queries.  Rows whose vector is
     null, empty or holds a null or non-finite component, or without an id, take no part; vectors of
-    different widths never meet; rows that repeat an id count each, but a query never meets its own id.
+    different widths never meet; rows that repeat an id count each, but a query never meets its own id; further
+    columns are left out, whatever their names; an empty table gives an empty result.
     """
     candidates = Shared(blocks(vectors, BLOCK), "candidate-blocks")
     asked = Shared(blocks(vectors.where(is_query), QUERY_BLOCK).withColumnsRenamed({"ids": "q_ids", "data": "q_data", "width": "q_width"}), "query-blocks")
-    meet = F.col("q_width") == F.col("width")
     columns = ["q_ids", "q_data", "ids", "data", "width"]
-    local = asked.frame.repartition(F.xxhash64("q_ids")).join(candidates.frame, meet).select(*columns).mapInArrow(_local_lists(k, lists), SCORES)
+    local = _meeting(asked.frame, asked.frame, candidates.frame).select(*columns).mapInArrow(_local_lists(k, lists), SCORES)
     # the best of each task's lists, then the k-th best: a row for each query
-    cutoffs = Shared(_best(local.distinct(), k).groupBy("query_id").agg(F.min("score").alias("least"), F.count("*").alias("n")).select("query_id", F.when(F.col("n") >= k, F.col("least")).otherwise(F.lit(-(1 << 62))).alias("cutoff")), "cutoffs")
+    cutoffs = Shared(_best(local.distinct(), k).groupBy("query_id").agg(F.min("score").alias("least"), F.count("*").alias("n")).select("query_id", F.when(F.col("n") >= k, F.col("least")).otherwise(F.lit(NONE)).alias("cutoff")), "cutoffs")
 
     def ids_of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -160,7 +180,7 @@ def top_k(vectors: DataFrame, is_query: str, k: int = 10, lists: int = LISTS) ->
                 ids = np.frombuffer(x["q_ids"], np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array([x["q_ids"]] * len(ids), pa.binary()), pa.array(np.arange(len(ids))), pa.array(ids)], ["q_ids", "at", "query_id"])
 
-    per_query = asked.frame.select("q_ids").mapInArrow(ids_of, "q_ids binary, at long, query_id long").join(cutoffs.frame, "query_id", "left").fillna(-(1 << 62), ["cutoff"])
+    per_query = asked.frame.select("q_ids").mapInArrow(ids_of, "q_ids binary, at long, query_id long").join(cutoffs.frame, "query_id", "left").fillna(NONE, ["cutoff"])
 
     def pack(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -170,5 +190,5 @@ def top_k(vectors: DataFrame, is_query: str, k: int = 10, lists: int = LISTS) ->
 
     packed = per_query.groupBy("q_ids").agg(F.collect_list(F.struct("at", "cutoff")).alias("own")).mapInArrow(pack, "q_ids binary, cutoffs binary")
     with_cutoffs = asked.frame.join(packed, "q_ids")
-    entries = with_cutoffs.join(candidates.frame, meet).select(*columns, "cutoffs").mapInArrow(_resolve(lists), SCORES)
+    entries = _meeting(asked.frame, with_cutoffs, candidates.frame).select(*columns, "cutoffs").mapInArrow(_resolve(lists), SCORES)
     return _best(entries, k).select("query_id", "rank", "vec_id", "score")
