@@ -36,6 +36,10 @@ SHORT_WORD = 4
 _DROP = bytes(c for c in range(33, 127) if not chr(c).isalnum())
 _DIGITS = bytes.maketrans(b"0123456789", b"0" * 10)
 _STEP = 0x9E3779B97F4A7C15
+#: Letters from which a bound over words is tried before the distance; letters of the pairs whose distances are found at once.
+_LONG, _CELLS = 200, 1 << 22
+#: Pairs that are compared at once, so that few are compared that others link meanwhile.
+_PAIRS = 8192
 #: Powers of an odd number, by which bytes of a word and words of a line are weighted; longer ones begin anew.
 _POWERS = np.array([pow(_STEP, i + 1, 1 << 64) for i in range(4096)], np.uint64)
 
@@ -101,36 +105,74 @@ def _digested(texts: list[bytes]) -> _Lines | None:
     return _Lines(text, line_row - first_row[text], _weighted(word, heads, per_line), np.add.reduceat(chars, heads) + per_line - 1, word[telling], np.add.reduceat(telling.astype(np.int64), heads))
 
 
-def _bits(x: int, n: int) -> np.ndarray:
-    """The ``n`` lowest bits of a number, the lowest first."""
-    return np.unpackbits(np.frombuffer(x.to_bytes((n + 7) // 8, "little"), np.uint8), count=n, bitorder="little").astype(np.int32)
-
+def _same(a: str, b: str) -> int:
+    """Length of the common beginning, by halving."""
+    low, high = 0, min(len(a), len(b))
+    while low < high:
+        mid = (low + high + 1) // 2
+        if a[low:mid] == b[low:mid]:
+            low = mid
+        else:
+            high = mid - 1
+    return low
+
+
+def _trimmed(a: str, b: str) -> tuple[str, str]:
+    """Two texts without their common ends, the longer first."""
+    start = _same(a, b)
+    a, b = a[start:], b[start:]
+    end = _same(a[::-1], b[::-1])
+    a, b = a[: len(a) - end], b[: len(b) - end]
+    return (a, b) if len(a) >= len(b) else (b, a)
+
+
+def _coded(texts: list[str], codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The texts' letters as places in ``codes``, one after the other, and where each text begins."""
+    sizes = np.array([len(t) for t in texts], np.int64)
+    points = np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32)
+    return np.searchsorted(codes, points), np.concatenate([[0], np.cumsum(sizes)])
+
+
+def _distances(rows: list[str], columns: list[str]) -> np.ndarray:
+    """Levenshtein distances of pairs of texts with letters, all pairs at once: bit-parallel columns in blocks of 64 rows."""
+    codes = np.unique(np.frombuffer("".join(rows + columns).encode("utf-32-le"), np.uint32))
+    (a, a_at), (b, b_at) = _coded(rows, codes), _coded(columns, codes)
+    n, m, k = len(rows), np.diff(a_at), np.diff(b_at)
+    width = int(-(-m.max() // 64))
+    at = np.zeros((n, width, len(codes)), np.uint64)  # for each letter the rows that hold it
+    pair, row = np.repeat(np.arange(n), m), np.arange(len(a)) - np.repeat(a_at[:-1], m)
+    np.bitwise_or.at(at, (pair, row >> 6, a), np.uint64(1) << (row & 63).astype(np.uint64))
+    up, down = np.full((width, n), ~np.uint64(0)), np.zeros((width, n), np.uint64)
+    last, mask = (m - 1) >> 6, np.uint64(1) << ((m - 1) & 63).astype(np.uint64)
+    score, one, top, every = m.copy(), np.uint64(1), np.uint64(63), np.arange(n)
+    with np.errstate(over="ignore"):
+        for j in range(int(k.max())):
+            on = j < k
+            letter = b[np.minimum(b_at[:-1] + j, len(b) - 1)]
+            rise, fall = np.ones(n, np.uint64), np.zeros(n, np.uint64)  # the top row counts the columns
+            for w in range(width):
+                same, u, d = at[every, w, letter], up[w], down[w]
+                keep = same | d
+                same = same | fall
+                across = (((same & u) + u) ^ u) | same
+                more, less = d | ~(across | u), u & across
+                here = on & (last == w)
+                score += here * ((more & mask) != 0).astype(np.int64) - here * ((less & mask) != 0).astype(np.int64)
+                rising, falling = more >> top, less >> top
+                more, less = (more << one) | rise, (less << one) | fall
+                rise, fall = rising, falling
+                up[w], down[w] = less | ~(keep | more), more & keep
+    return score
 
-def edit_distance(a: str, b: str, most: float | None = None) -> int:
-    """Levenshtein distance by bit-parallel columns; common ends are cut first.
 
-    With ``most``, a column from whose cells no way leads to the end for that much ends it: the distance is more.
-    """
-    start, most = 0, min(len(a), len(b))
-    while start < most and a[start] == b[start]:
-        start += 1
-    end = 0
-    while end < most - start and a[-1 - end] == b[-1 - end]:
-        end += 1
-    a, b = a[start : len(a) - end], b[start : len(b) - end]
-    if not a or not b:
-        return len(a) + len(b)
+def _distance(a: str, b: str) -> int:
+    """Levenshtein distance of two texts with letters, as one bit-parallel number a column: for few pairs."""
     at: dict[str, int] = {}
     for i, c in enumerate(a):
         at[c] = at.get(c, 0) | 1 << i
     full, last, score = (1 << len(a)) - 1, 1 << (len(a) - 1), len(a)
     up, down = full, 0  # where a cell is one more, one less, than the cell above
-    for n, c in enumerate(b):
-        if most is not None and n and not n % 256:
-            cells = np.concatenate([[n], n + np.cumsum(_bits(up, len(a)) - _bits(down, len(a)))])
-            ahead = np.abs(np.arange(len(a), -1, -1) - (len(b) - n))
-            if (least := int((cells + ahead).min())) > most:
-                return least
+    for c in b:
         same = at.get(c, 0)
         keep = same | down
         across = ((((same & up) + up) ^ up) | same) & full
@@ -141,6 +183,12 @@ def edit_distance(a: str, b: str, most: float | None = None) -> int:
     return score
 
 
+def edit_distance(a: str, b: str) -> int:
+    """Levenshtein distance."""
+    a, b = _trimmed(a, b)
+    return _distance(a, b) if b else len(a)
+
+
 def _bound(a: str, b: str, most: float) -> int:
     """An upper bound of the distance: words that both have in order stay, what lies between is rewritten."""
     x, y = a.split(" "), b.split(" ")
@@ -166,11 +214,38 @@ def _bound(a: str, b: str, most: float) -> int:
     return cost + max(width(x[i:]), width(y[j:]))
 
 
+def all_alike(pairs_of: list[tuple[str, str]], similarity: float) -> np.ndarray:
+    """For each pair whether ``1 - distance / longer length`` reaches ``similarity``."""
+    out = np.zeros(len(pairs_of), bool)
+    open_at, rows, columns, limits = [], [], [], []
+    for i, (a, b) in enumerate(pairs_of):
+        most = (1 - similarity) * max(len(a), len(b)) + 1e-9
+        if abs(len(a) - len(b)) > most:
+            continue
+        x, y = _trimmed(a, b)
+        if len(x) <= most or len(x) > _LONG and _bound(a, b, most) <= most:
+            out[i] = True
+        elif y and len(x) - len(y) <= most:
+            open_at.append(i)
+            rows.append(x)
+            columns.append(y)
+            limits.append(most)
+    order = sorted(range(len(rows)), key=lambda i: len(rows[i]))
+    while order:
+        longest = len(rows[order[-1]])
+        size = max(1, _CELLS // (64 * -(-longest // 64)))
+        size = min(size, sum(1 for i in order if 5 * len(rows[i]) >= 4 * longest))  # pairs of like length go together
+        part, order = order[-size:], order[:-size]
+        a, b = [rows[i] for i in part], [columns[i] for i in part]
+        found = _distances(a, b).tolist() if len(part) >= 16 + len(a[-1]) // 5 else map(_distance, a, b)
+        for i, d in zip(part, found, strict=True):
+            out[open_at[i]] = d <= limits[i]
+    return out
+
+
 def alike(a: str, b: str, similarity: float) -> bool:
     """Whether ``1 - distance / longer length`` reaches ``similarity``."""
-    longer = max(len(a), len(b))
-    most = (1 - similarity) * longer + 1e-9
-    return abs(len(a) - len(b)) <= most and (_bound(a, b, most) <= most or edit_distance(a, b, most) <= most)
+    return bool(all_alike([(a, b)], similarity)[0])
 
 
 LINES = "doc_id long, line int, h long, raw long, fp long, size int, bands array<int>"
@@ -239,6 +314,21 @@ def _met(sig: np.ndarray, fp: np.ndarray, at: np.ndarray, held: np.ndarray, k: i
             yield i_of[keep], j[keep]
 
 
+def _gathered(found: Iterator[tuple[np.ndarray, np.ndarray]]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """The pairs, at least ``_PAIRS`` at a time but for the last."""
+    held: list[tuple[np.ndarray, np.ndarray]] = []
+    n = 0
+    for i, j in found:
+        if len(i):
+            held.append((i, j))
+            n += len(i)
+        if n >= _PAIRS:
+            yield np.concatenate([x for x, _ in held]), np.concatenate([x for _, x in held])
+            held, n = [], 0
+    if held:
+        yield np.concatenate([x for x, _ in held]), np.concatenate([x for _, x in held])
+
+
 def _verifier(k: int, similarity: float):
     """Links between a signature's lines: near in bits and alike in text, unless others link them already.
 
@@ -250,20 +340,18 @@ def _verifier(k: int, similarity: float):
             sig, fp, ids, texts = part["sig"].to_numpy(), part["fp"].to_numpy().view(np.uint64), part["id"].to_numpy(), part["text"].to_pylist()
             at, held = part["at"].to_numpy(), part["bands"].combine_chunks().flatten().to_numpy().reshape(-1, BANDS)
             own = np.unique(ids, return_inverse=True)[1]
-            root = np.arange(own.max(initial=0) + 1)
-            left, right = [], []
-            for i, j in _met(sig, fp, at, held, k):
-                for a, b in zip(i.tolist(), j.tolist(), strict=True):
-                    x, y = own[a], own[b]
-                    while root[x] != x:
-                        x = root[x] = root[root[x]]
-                    while root[y] != y:
-                        y = root[y] = root[root[y]]
-                    if x != y and alike(texts[a], texts[b], similarity):
-                        root[max(x, y)] = min(x, y)
-                        left.append(ids[a])
-                        right.append(ids[b])
-            yield pa.RecordBatch.from_arrays([pa.array(left, pa.int64()), pa.array(right, pa.int64())], ["a", "b"])
+            root = np.arange(own.max(initial=-1) + 1)
+            left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for i, j in _gathered(_met(sig, fp, at, held, k)):
+                apart = np.flatnonzero(root[own[i]] != root[own[j]])
+                i, j = i[apart], j[apart]
+                good = all_alike([(texts[a], texts[b]) for a, b in zip(i.tolist(), j.tolist(), strict=True)], similarity)
+                i, j = i[good], j[good]
+                if len(i):
+                    root = roots(len(root), np.concatenate([root[own[i]], np.arange(len(root))]), np.concatenate([root[own[j]], root]))
+                    left.append(ids[i])
+                    right.append(ids[j])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(left)), pa.array(np.concatenate(right))], ["a", "b"])
 
     return work
 
