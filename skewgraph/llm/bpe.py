@@ -94,9 +94,9 @@ class Vocabulary:
             found = self._pairs[key] = self._valid(left, right)
         return found
 
-    def extend(self, data: bytes, last: list[int]) -> None:
-        """Fill ``last`` up to the end of ``data``; it already holds the last tokens of the first prefixes."""
-        ranks, longest, valid, n = self.ranks, self.longest, self.valid, len(data)
+    def extend(self, data: bytes, last: list[int], upto: int | None = None) -> None:
+        """Fill ``last`` up to the end of ``data`` (or ``upto``); it already holds the last tokens of the first prefixes."""
+        ranks, longest, valid, n = self.ranks, self.longest, self.valid, len(data) if upto is None else upto
         for end in range(len(last) + 1, n + 1):
             for start in range(max(0, end - longest), end):
                 if (token := ranks.get(data[start:end])) is not None and (not start or valid(last[start - 1], token)):
@@ -122,21 +122,37 @@ class Vocabulary:
 
 
 class PrefixEncoding:
-    """One piece's table of last tokens: exact appends, and edits that redo only what follows them."""
+    """One piece's table of last tokens: exact appends, and edits that redo only what they change.
+
+    ``redone``: prefixes computed by the last append or edit.
+    """
 
     def __init__(self, vocabulary: Vocabulary, data: bytes = b""):
-        self.vocabulary, self.data, self.last = vocabulary, b"", []
+        self.vocabulary, self.data, self.last, self.redone = vocabulary, b"", [], 0
         self.append(data)
 
     def append(self, data: bytes) -> None:
         self.data += data
+        self.redone = len(data)
         self.vocabulary.extend(self.data, self.last)
 
     def replace(self, start: int, end: int, data: bytes) -> None:
-        """Put ``data`` in the place of bytes ``start`` to ``end``; prefixes up to ``start`` stay as they are."""
-        self.data = self.data[:start] + data + self.data[end:]
+        """Put ``data`` in the place of bytes ``start`` to ``end``.
+
+        Prefixes up to ``start`` stay as they are.  A last token follows from the bytes and last tokens of the longest
+        token's length before it, so once that many in a row behind the edit are what they were, all further ones are.
+        """
+        rest, self.data = self.last[end:], self.data[:start] + data + self.data[end:]
         del self.last[start:]
-        self.vocabulary.extend(self.data, self.last)
+        behind, same, self.redone = start + len(data), 0, 0
+        for upto in range(start + 1, len(self.data) + 1):
+            self.vocabulary.extend(self.data, self.last, upto)
+            self.redone += 1
+            if upto > behind:
+                same = same + 1 if self.last[-1] == rest[upto - behind - 1] else 0
+                if same == self.vocabulary.longest:
+                    self.last += rest[upto - behind :]
+                    return
 
     def tokens(self, end: int | None = None) -> list[int]:
         """Tokens of the first ``end`` bytes (all)."""
