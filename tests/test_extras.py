@@ -6,6 +6,7 @@ from collections import deque
 from skewgraph import queries as q
 from skewgraph.graph import Graph
 from skewgraph.operators import extras
+from skewgraph.views import VIEWS
 
 SF = "/root/testdata/sf0.001"
 
@@ -54,13 +55,26 @@ def test_spanning_forest(spark):
     assert extras.spanning_forest(spark.createDataFrame([], "src long, dst long, w long")).count() == 0
 
 
+def test_spanning_forest_of_a_larger_graph(spark):
+    edges = [tuple(r) for r in VIEWS["part_next"](spark, SF).collect()]
+    assert sorted(tuple(r) for r in q.forest("part_next")(spark, SF).select("w", "lo", "hi").collect()) == kruskal(edges)
+
+
 def test_betweenness(spark):
     rng = random.Random(6)
     edges = sorted({(rng.randrange(30), rng.randrange(30)) for _ in range(70)})
     edges = [(0, 1, 1), *((a, b, 1) for a, b in edges if a != b and (a, b) != (0, 1))]
-    found = extras.betweenness(Graph.of(spark.createDataFrame(edges, "src long, dst long, w long")), [0])
+    g = Graph.from_rows(spark, edges)
+    nodes = {v for e in edges for v in e[:2]}
     want = dependency(edges, 0)
-    assert {r["node"]: r["score"] for r in found.collect()} == {v: round(x, 6) for v, x in want.items()}
+    assert {r["node"]: r["score"] for r in extras.dependencies(g, 0).collect()} == {v: round(want.get(v, 0.0), 6) for v in nodes}
+    total = dict.fromkeys(nodes, 0.0)
+    for v in nodes:
+        for u, x in dependency(edges, v).items():
+            total[u] += x
+    for most in (10**6, 200):  # one block of sources, several
+        found = {r["node"]: r["score"] for r in extras.betweenness(g, most_rows=most).collect()}
+        assert found.keys() == total.keys() and all(abs(found[v] - total[v]) < 2e-6 for v in nodes)
 
 
 def test_table_functions(spark):

@@ -61,6 +61,87 @@ def test_small_graphs(spark, strategy):
     assert rows(engine.bfs(graph(spark, edges), [6], strategy).state.select("node", "value")) == [(6, 0)]
 
 
+HUB = [(0, 1, 1)] + [(1, 10 + i, 1 + i % 3) for i in range(997)] + [(10 + i, 2000 + i, 1) for i in range(200)]
+
+
+@pytest.mark.parametrize("strategy", ms.STRATEGIES)
+def test_tasks_hold_what_the_strategy_decides(spark, strategy):
+    workers, mdt = 4, 100
+    own = Graph.of(spark.createDataFrame(HUB, "src long, dst long, w long"), page=64)
+    run = engine.bfs(own, [0], strategy, options=Options(workers, mdt=mdt, switch_below=0, record=True))
+    second = run.worker_loads.where("superstep = 2")
+    assert second.agg(F.sum("load")).first()[0] == 997
+    tasks = {r.task: r["sum(load)"] for r in second.groupBy("task").sum("load").collect()}
+    workers_of = second.groupBy("launch", "task").agg(F.countDistinct("worker").alias("n")).agg(F.max("n")).first()[0]
+    assert workers_of == 1
+    if strategy == "BS":
+        assert list(tasks.values()) == [997]
+    elif strategy in ("EP", "WD"):
+        assert max(tasks.values()) == -(-997 // workers) and len(tasks) == workers
+    elif strategy == "NS":
+        assert second.agg(F.max("load")).first()[0] <= 3 * mdt and len(tasks) == workers
+    else:
+        assert max(tasks.values()) <= mdt and second.select("launch").distinct().count() == 10
+    assert [r["relaxations"] for r in run.rows] == [1, 997, 200] and [r["improved"] for r in run.rows] == [1, 997, 200]
+
+
+@pytest.mark.parametrize(
+    "strategy, more",
+    [
+        ("BS", {"assign": "hash"}), ("BS", {"workers": "per_node"}), ("EP", {"chunked": False}), ("EP", {"condense": "never"}), ("WD", {"place": "pages"}),
+        ("HP", {"fused": False, "mdt": 3, "switch_below": 2}), ("HP", {"depth": 2, "group": 7, "mdt": 2, "switch_below": 0}), ("NS", {"mdt": 2}),
+    ],
+)
+def test_options_keep_the_distances(spark, strategy, more):
+    edges = VIEWS["part_next"](spark, SF)
+    got = engine.sssp(Graph.of(edges, page=8), [0], strategy, options=Options(**({"workers": 4, "switch_below": 4} | more))).state
+    assert {r.node: r.value for r in got.collect()} == shortest([tuple(r) for r in edges.collect()], 0)
+
+
+def test_pushes(spark):
+    own = lambda **more: engine.bfs(graph(spark, HUB), [0], "EP", options=Options(4, **more)).metrics.agg(F.sum("pushes")).first()[0]
+    assert own() == 1198 and own(chunked=False) == 1197
+
+
+def test_large_states_are_kept_as_improvements(spark, monkeypatch):
+    edges = [(i, i + 1, 1) for i in range(30)] + [(0, 100 + i, 1) for i in range(50)]
+    monkeypatch.setattr(engine, "SMALL_NODES", 0)
+    monkeypatch.setattr(engine, "DELTAS", 3)
+    want = shortest(edges, 0)
+    assert {r.node: r.value for r in engine.sssp(graph(spark, edges), [0], "WD").state.collect()} == want
+    monkeypatch.setattr(engine, "LOOKUP_ROWS", 60)
+    monkeypatch.setattr(engine, "LOOKUP_SHARE", 1)
+    assert {r.node: r.value for r in engine.sssp(graph(spark, edges), [0], "BS").state.collect()} == want
+
+
+def test_targets_resumption_and_all_nodes(spark):
+    edges = [(i, i + 1, 1) for i in range(12)] + [(0, 3, 9)]
+    run = engine.sssp(graph(spark, edges), [0], "WD", target=3)
+    assert {r.node: r.value for r in run.state.collect()}[3] == 3 and run.supersteps < 8
+    every = engine.sssp(graph(spark, edges), [0], "WD", data_driven=False)
+    assert {r.node: r.value for r in every.state.collect()} == shortest(edges, 0)
+    old = engine.sssp(graph(spark, edges), [0], "WD").state
+    more = [*edges, (0, 9, 2)]
+    again = engine.traverse(graph(spark, more), programs.SSSP, spark.createDataFrame([(9, 2)], "node long, value long"), "WD", resume=old.select("node", "value"))
+    assert {r.node: r.value for r in again.state.collect()} == shortest(more, 0) and again.supersteps == 4
+
+
+def test_gathers(spark):
+    g = graph(spark, [(1, 9, 2), (5, 9, 3), (9, 9, 1), (2, 3, 1)])
+    values = g.nodes().select("node", F.col("node").cast("double").alias("value"))
+    assert {r.node: r.value for r in engine.gather(g, programs.NEIGHBOUR_MEDIAN, values).collect()} == {1: 1.0, 5: 5.0, 9: 5.0, 2: 2.0, 3: 2.0}
+    sums = engine.gather(g, programs.WEIGHTED_SUM, g.nodes().select("node", F.col("node").alias("value")), "WD")
+    assert {r.node: r.value for r in sums.collect()}[9] == 2 + 15 + 9
+    with pytest.raises(ValueError, match="not distributive"):
+        engine.gather(g, programs.NEIGHBOUR_MEDIAN, values, "WD")
+
+
+def test_capacity():
+    words = 4 * 2**30 // 4
+    assert 500e6 < words // 2 < 540e6 and 350e6 < words // 3 < 360e6  # edges of a list without and with weights in 4 GiB
+    assert words // 1.5 >= 350e6  # rows of half as many nodes as edges
+
+
 def test_rejections(spark):
     with pytest.raises(ValueError, match="no node"):
         engine.bfs(graph(spark, [(0, 1, 1)]), [9])
