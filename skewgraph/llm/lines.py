@@ -12,12 +12,12 @@ Words, line digests and fingerprints are computed for whole chunks of text at on
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
@@ -411,21 +411,33 @@ def dedup(docs: DataFrame, k: int = K, similarity: float = SIMILARITY, measures:
     without, the columns are the given ones, and documents that lost lines and have no word left go: all they held
     stays elsewhere.  No other column name clashes.
     """
-    doc, gone, given, cuts = (fresh(n, docs.columns) for n in ("_doc", "_gone", "_given", "_cuts"))
+    doc, gone, cut = (fresh(n, docs.columns) for n in ("_doc", "_gone", "_cut"))
     own = beside(removals(docs, k, similarity).frame.select(F.col("doc_id").alias(doc), F.col("gone").alias(gone)), f"size({gone})")
-    joined = docs.join(own, docs["doc_id"] == own[doc], "left").drop(doc).withColumn(given, F.split("text", "\n"))
-    # of a row that repeats a doc_id with another text only lines that are the ones meant go
-    meant = F.filter(F.coalesce(gone, F.array().cast("array<struct<line:int,raw:long>>")), lambda x: F.xxhash64(F.get(given, x["line"])) == x["raw"])
-    at = F.array_sort(F.array_distinct(F.transform(meant, lambda x: x["line"])))
-    joined = joined.withColumn(cuts, F.concat(F.array(F.lit(-1)), at, F.array(F.size(given))))
-    run = lambda i: F.slice(given, F.get(cuts, i) + 2, F.get(cuts, i + 1) - F.get(cuts, i) - 1)
-    stays = F.flatten(F.transform(F.sequence(F.lit(0), F.size(cuts) - 2), run))
-    cut = F.size(cuts) > 2
-    text = F.when(F.col("text").isNull() | ~cut, F.col("text")).otherwise(F.array_join(stays, "\n"))
-    n_lines = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(given)).cast("long")
-    n_removed = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(cuts) - 2).cast("long")
+    joined = docs.join(own, docs["doc_id"] == own[doc], "left").drop(doc)
+    whole = F.struct(F.col("text").alias("text"), F.lit(0).cast("long").alias("n"))
+    shorter = _let(F.split("text", "\n"), lambda given: _let(_places(given, F.col(gone)), lambda at: _without(given, at)))
+    joined = joined.withColumn(cut, F.when(F.col("text").isNull() | F.col(gone).isNull(), whole).otherwise(shorter))
     kept = [c for c in docs.columns if not measures or c.lower() not in ("n_lines", "n_removed")]
-    out = joined.select(*(text.alias(c) if c == "text" else F.col(f"`{c}`") for c in kept), n_lines.alias(doc), n_removed.alias(gone))
+    columns = [F.col(cut)["text"].alias(c) if c == "text" else F.col(f"`{c}`") for c in kept]
     if measures:
-        return out.withColumnsRenamed({doc: "n_lines", gone: "n_removed"})
-    return out.where((F.col(gone) == 0) | F.col("text").rlike(r"[^\x20\x09-\x0D]")).drop(doc, gone)
+        n_lines = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(F.split("text", "\n"))).cast("long")
+        return joined.select(*columns, n_lines.alias("n_lines"), F.col(cut)["n"].alias("n_removed"))
+    return joined.where((F.col(cut)["n"] == 0) | F.col(cut)["text"].rlike(r"[^\x20\x09-\x0D]")).select(*columns)
+
+
+def _let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use`` of a value that is computed once, however often it is used."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
+def _places(given: Column, gone: Column) -> Column:
+    """The lines to go: of a row that repeats a doc_id with another text only those that are the ones meant."""
+    meant = F.filter(gone, lambda x: F.xxhash64(F.get(given, x["line"])) == x["raw"])
+    return F.concat(F.array(F.lit(-1)), F.array_sort(F.array_distinct(F.transform(meant, lambda x: x["line"]))), F.array(F.size(given)))
+
+
+def _without(given: Column, at: Column) -> Column:
+    """The runs of lines between the places, put together."""
+    run = lambda i: F.slice(given, F.get(at, i) + 2, F.get(at, i + 1) - F.get(at, i) - 1)
+    stays = F.flatten(F.transform(F.sequence(F.lit(0), F.size(at) - 2), run))
+    return F.struct(F.array_join(stays, "\n").alias("text"), (F.size(at) - 2).cast("long").alias("n"))
