@@ -33,7 +33,7 @@ PRIOR = 20_000.0
 #: Cells of the toxic ratio; documents added to its observed and expected counts of each cell, so that rare words say little.
 TOXIC_BUCKETS, TOXIC_PRIOR = 1 << 17, 8.0
 #: Words of a run, the log-ratio's sum at which a run is toxic, and the least that a word can take from it.
-WINDOW, TOXIC_RUN, TOXIC_FLOOR = 10, 2.6, -0.5
+WINDOW, TOXIC_RUN, TOXIC_FLOOR = 10, 3.1, -0.5
 #: Bytes of a word's beginning that are a feature of their own.
 PREFIX = 5
 _SYMBOLS = b"#*$%&|<>"
