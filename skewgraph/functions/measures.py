@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..graph import Graph
@@ -123,13 +123,24 @@ def imbalance(loads: DataFrame, keys: list[str], workers: int) -> DataFrame:
 
 
 def gini(loads: DataFrame, value: str = "load") -> DataFrame:
-    """One row ``gini``: 0 for equal loads; from a histogram of loads."""
-    total = loads.agg(F.collect_list(F.col(value).cast("double")).alias("x"))
-    x = F.array_sort("x")
-    n = F.size("x")
-    weighted = F.aggregate(F.arrays_zip(x.alias("v"), F.sequence(F.lit(1), n).alias("i")), F.lit(0.0), lambda s, e: s + e["v"] * e["i"])
-    sums = F.aggregate("x", F.lit(0.0), lambda s, v: s + v)
-    return total.select(F.round((2 * weighted) / (n * sums) - (n + 1) / n, 6).alias("gini"))
+    """One row ``gini``: 0 for equal loads.  From a histogram of loads, a row for each different load."""
+    held = loads.groupBy(F.col(value).cast("double").alias("x")).agg(F.count("*").cast("double").alias("n"))
+    below = Window.orderBy("x").rowsBetween(Window.unboundedPreceding, -1)
+    ranked = held.withColumn("before", F.coalesce(F.sum("n").over(below), F.lit(0.0)))
+    # the i-th smallest of all loads counts 2i - n - 1 times; equal ones together
+    parts = ranked.agg(F.sum("n").alias("n"), F.sum(F.col("x") * F.col("n")).alias("s"), F.sum(F.col("x") * F.col("n") * (2 * F.col("before") + F.col("n") + 1)).alias("w"))
+    return parts.select(F.round((F.col("w") - (F.col("n") + 1) * F.col("s")) / (F.col("n") * F.col("s")), 6).alias("gini"))
+
+
+def variation(loads: DataFrame, keys: list[str], workers: int) -> DataFrame:
+    """``cv_permille``: deviation over mean of the loads of all workers (those without a row hold none), by key."""
+    sums = loads.groupBy(*keys).agg(F.sum("load").alias("s"), F.sum(F.col("load") * F.col("load")).alias("ss"))
+    return sums.select(*keys, F.floor(1000 * F.sqrt(workers * F.col("ss") - F.col("s") * F.col("s")) / F.col("s")).cast("long").alias("cv_permille"))
+
+
+def reduction(base: float, other: float) -> float:
+    """Percent less time than the baseline; below zero for more."""
+    return round(100 * (base - other) / base, 1) if base else 0.0
 
 
 def traversed_per_second(edges: int, seconds: float) -> float:

@@ -180,6 +180,11 @@ def oracle_sql() -> dict[str, str]:
         out[f"rank_strategies_{v}"] = f"""SELECT strategy, CAST(rank() OVER (ORDER BY makespan) AS INTEGER) AS time_rank, CAST(rank() OVER (ORDER BY words) AS INTEGER) AS memory_rank, CAST(rank() OVER (ORDER BY ease) AS INTEGER) AS ease_rank
           FROM (SELECT strategy, sum(makespan) AS makespan FROM ({out[f"balance_{v}"]}) GROUP BY 1) JOIN ({words}) USING (strategy) JOIN ({ease}) USING (strategy)"""
     out["loads_per_node_event_hub"] = _with(base("event_hub"), bfs("event_hub", STEPS), FRONT) + "SELECT superstep, max(deg) AS makespan, count(*) AS workers FROM f GROUP BY 1"
+    for s in ("BS", "WD"):
+        out[f"load_cv_{s.lower()}_event_hub"] = _with(base("event_hub"), bfs("event_hub", STEPS), FRONT, sublist_ctes(SWITCH)) + f"""SELECT superstep, launch,
+          CAST(floor(1000 * sqrt(CAST({WORKERS} * sum(load * load) - sum(load) * sum(load) AS DOUBLE)) / sum(load)) AS BIGINT) AS cv_permille FROM ({loads(s)}) GROUP BY 1, 2"""
+    out["udaf_gini_load"] = _with(base("event_hub")) + """SELECT round((sum(x * (2 * i - n - 1))) / (max(n) * sum(x)), 6) AS gini
+      FROM (SELECT CAST(deg AS DOUBLE) AS x, row_number() OVER (ORDER BY deg) AS i, CAST(count(*) OVER () AS DOUBLE) AS n FROM d WHERE deg > 0)"""
     out["bfs_multi_part_next"] = _with(base("part_next"), bfs("part_next", 12).replace("SELECT CAST(0 AS BIGINT) AS node, CAST(0 AS BIGINT) AS level", "SELECT CAST(i AS BIGINT) AS node, CAST(0 AS BIGINT) AS level FROM range(3) r(i)")) + "SELECT node, level FROM lv"
     out["neighbour_median_part_next"] = _with(base("part_next")) + "SELECT node, coalesce(quantile_cont(CAST(src AS DOUBLE), 0.5), CAST(node AS DOUBLE)) AS value FROM d LEFT JOIN e ON dst = node GROUP BY node"
     out["weighted_sum_part_next"] = _with(base("part_next")) + "SELECT node, CAST(coalesce(sum(src * w), node) AS BIGINT) AS value FROM d LEFT JOIN e ON dst = node GROUP BY node"
@@ -210,4 +215,6 @@ def oracle_sql() -> dict[str, str]:
     out["gen_lattice"] = f"""WITH n AS (SELECT i AS a, i + 1 AS b FROM range(256) r(i) WHERE (i + 1) % 16 <> 0 UNION ALL SELECT i, i + 16 FROM range(256) r(i) WHERE i + 16 < 256),
       one AS (SELECT a AS src, b AS dst, {num('a', 'b')} % 50 + 1 AS w FROM n) {BOTH}"""
     out["udtf_split_node"], out["udtf_frontier_blocks"] = out["ns_split_part_next"], out["wd_blocks_example"]
+    for name in ("tasks_hold_workers_part_next", "rank_strategies_part_next"):
+        out.pop(name, None)
     return out | relational.oracle_sql() | batches.oracle_sql()

@@ -170,6 +170,20 @@ def balance(view):
     return run
 
 
+def load_spread(strategy, view):
+    """Deviation over mean of the workers' loads, launch by launch, and the Gini coefficient of all of them."""
+
+    def run(spark, d):
+        return ms.variation(load_query(strategy, view)(spark, d), ["superstep", "launch"], WORKERS)
+
+    return run
+
+
+def udaf_gini_load(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How uneven the outdegrees of a graph are."""
+    return ms.gini(graph(spark, sf_dir, "event_hub").degrees(), "deg")
+
+
 def tasks_hold_workers(view):
     """Tasks of a run that hold the edges of more than one worker of a launch, by strategy: none."""
 
@@ -428,9 +442,11 @@ def queries() -> dict[str, Query]:
     for name, (program, s, v, options) in VARIANTS.items():
         out[name] = variant(program, s, v, **options)
     for v in ("part_next", "event_hub"):
-        out[f"tasks_hold_workers_{v}"], out[f"ep_chunking_{v}"], out[f"run_metrics_{v}"], out[f"rank_strategies_{v}"] = tasks_hold_workers(v), ep_chunking(v), run_metrics(v, "WD"), rank_time(v)
+        out[f"ep_chunking_{v}"], out[f"run_metrics_{v}"] = ep_chunking(v), run_metrics(v, "WD")
         out[f"wd_range_join_{v}"] = wd_range_join(v)
     out["loads_per_node_event_hub"] = loads_per_node("event_hub")
+    out["load_cv_bs_event_hub"], out["load_cv_wd_event_hub"], out["udaf_gini_load"] = load_spread("BS", "event_hub"), load_spread("WD", "event_hub"), udaf_gini_load
+    out["tasks_hold_workers_event_hub"], out["rank_strategies_event_hub"] = tasks_hold_workers("event_hub"), rank_time("event_hub")
     out["bfs_multi_part_next"] = multi_source("part_next")
     out["neighbour_median_part_next"], out["weighted_sum_part_next"] = gathered(programs.NEIGHBOUR_MEDIAN, "part_next"), gathered(programs.WEIGHTED_SUM, "part_next")
     out["spanning_forest_part_next"], out["spanning_forest_part_grid"] = forest("part_next"), forest("part_grid")
