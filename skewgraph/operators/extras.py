@@ -52,30 +52,41 @@ def spanning_forest(edges: DataFrame) -> DataFrame:
 def betweenness(graph: Graph, sources: DataFrame | None = None, most_rows: int = 20_000_000) -> DataFrame:
     """``node``, ``score``: how much of the shortest (fewest edges) paths between other nodes runs through each node, exactly.
 
-    ``sources`` (``node``): where paths begin, by default every node.  Many sources are swept at once, in blocks of which
-    the (source, node) pairs stay within ``most_rows``: forwards, level by level, the paths are counted; backwards they
-    are shared out.  A path's ends score nothing; nodes on no path score 0.
+    ``sources`` (``node``): where paths begin, by default every node.  All sources are swept at once: forwards, level by
+    level, the paths are counted; backwards they are shared out.  Sources that reach more than ``most_rows`` (source,
+    node) pairs are swept in two halves instead, and so on.  A path's ends score nothing; nodes on no path score 0.
     """
     nodes = cut(graph.nodes())
     starts = cut(sources.select("node").distinct()) if sources is not None else nodes
     edges = cut(graph.edges.select("src", "dst"))
-    n = nodes.count()
-    blocks = max(1, -(-starts.count() * n // most_rows))
-    scores = [_swept(edges, starts.where(F.pmod(F.xxhash64("node"), F.lit(blocks)) == b)) for b in range(blocks)]
+    open_blocks, scores = [(1, 0)], []
+    while open_blocks:
+        blocks, b = open_blocks.pop()
+        found = _swept(edges, starts.where(F.pmod(F.xxhash64("node"), F.lit(blocks)) == b), most_rows)
+        if found is None:
+            open_blocks += [(2 * blocks, b), (2 * blocks, b + blocks)]
+        else:
+            scores.append(found)
     total = reduce(DataFrame.unionByName, scores).groupBy("node").agg(F.sum("score").alias("score"))
     return nodes.join(total, "node", "left").select("node", F.round(F.coalesce("score", F.lit(0.0)), 6).alias("score"))
 
 
-def _swept(edges: DataFrame, starts: DataFrame) -> DataFrame:
-    """``source``, ``node``, ``score`` of the paths from a block of sources."""
-    levels = [Table(starts.select(F.col("node").alias("source"), "node", F.lit(1.0).alias("paths")), "paths")]
+def _swept(edges: DataFrame, starts: DataFrame, most_rows: int) -> DataFrame | None:
+    """``source``, ``node``, ``score`` of the paths from a block of sources; None if several reach over ``most_rows`` pairs."""
+    table, found = counted(starts.select(F.col("node").alias("source"), "node", F.lit(1.0).alias("paths")), "paths", n=F.count("*"))
+    levels, sources, pairs = [table], found["n"], found["n"]
     while True:
+        if pairs > most_rows and sources > 1:
+            for t in levels:
+                t.drop()
+            return None
         seen = reduce(DataFrame.unionByName, [t.frame.select("source", "node") for t in levels])
         on = levels[-1].frame.join(edges, F.col("node") == F.col("src")).groupBy("source", F.col("dst").alias("node")).agg(F.sum("paths").alias("paths"))
         table, found = counted(on.join(seen, ["source", "node"], "left_anti"), "paths", n=F.count("*"))
         if not found["n"]:
             break
         levels.append(table)
+        pairs += found["n"]
     below, out = levels[-1].frame.withColumn("score", F.lit(0.0)), []
     out.append(below)
     for table in reversed(levels[:-1]):

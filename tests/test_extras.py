@@ -1,12 +1,15 @@
 """Spanning forests, betweenness and table functions against plain searches."""
 
+import math
 import random
 from collections import deque
 
+import numpy as np
+
 from skewgraph import queries as q
 from skewgraph.graph import Graph
 from skewgraph.operators import extras
-from skewgraph.views import VIEWS
+from skewgraph.views import VIEWS, embedding_knn
 
 SF = "/root/testdata/sf0.001"
 
@@ -77,6 +80,24 @@ def test_betweenness(spark):
         assert found.keys() == total.keys() and all(abs(found[v] - total[v]) < 2e-6 for v in nodes)
 
 
+def test_sources_that_reach_little_are_swept_at_once(spark, monkeypatch):
+    g, sweeps = Graph.from_rows(spark, [(10 * i + j, 10 * i + j + 1) for i in range(40) for j in range(3)]), []
+    own = extras._swept
+    monkeypatch.setattr(extras, "_swept", lambda *a: sweeps.append(1) or own(*a))
+    found = {r["node"]: r["score"] for r in extras.betweenness(g, most_rows=1000).collect()}
+    assert found == {10 * i + j: (0.0, 2.0, 2.0, 0.0)[j] for i in range(40) for j in range(4)} and len(sweeps) == 1
+
+
+def test_nearest_vectors(spark, tmp_path):
+    rng = np.random.default_rng(3)
+    v = np.concatenate([rng.normal(size=(60, 8)), np.tile(rng.normal(size=(1, 8)), (20, 1))])
+    rows = [(i, x.tolist()) for i, x in enumerate(v)] + [(900, None), (901, [0.0] * 8)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<double>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    cosine = lambda i, j: sum(a * b for a, b in zip(v[i].tolist(), v[j].tolist())) / (math.sqrt(sum(a * a for a in v[i].tolist())) * math.sqrt(sum(a * a for a in v[j].tolist())))
+    want = {(i, j, n + 2) for i in range(80) for n, j in enumerate(sorted((j for j in range(80) if j != i), key=lambda j: (-cosine(i, j), j))[:8])}
+    assert {tuple(r) for r in embedding_knn(spark, str(tmp_path), block=16).collect()} == want
+
+
 def test_table_functions(spark):
     assert sorted(map(tuple, q.udtf_frontier_blocks(spark, SF).collect())) == sorted(map(tuple, q.wd_blocks_example(spark, SF).collect()))
     assert sorted(map(tuple, q.udtf_split_node(spark, SF).collect())) == sorted(map(tuple, q.ns_split("part_next")(spark, SF).collect()))
