@@ -2,17 +2,26 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .plans.lineage import cut
 from .sources import table
 
 #: Offsets that keep the ids of different tables apart.
 PARTS, USERS, TYPES = 10**9, 10**9, 2 * 10**9
 
 
+#: Room for the rounding of a matrix product, within which cosines are compared by their exact sums.
+_SLACK = 1e-9
+#: Vectors up to which their blocks are broadcast.
+_BROADCAST = 50_000
+
+
 def _both_ways(edges: DataFrame) -> DataFrame:
     turned = F.array(F.struct("src", "dst", "w"), F.struct(F.col("dst").alias("src"), F.col("src").alias("dst"), "w"))
     return edges.select(F.explode(turned).alias("e")).select("e.*")
@@ -123,14 +132,47 @@ def turn_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     return step.where("next is not null").select("src", (F.col("conv_id") * 1000 + F.col("next")).alias("dst"), F.lit(1).cast("long").alias("w"))
 
 
-def embedding_knn(spark: SparkSession, sf_dir: str, k: int = 8, block: int = 256) -> DataFrame:
-    """The k nearest vectors by cosine, ties to the smaller id; blocks meet two by two, so only for small tables."""
+def _running(products: np.ndarray) -> np.ndarray:
+    """Sums along the last axis, term by term, whatever the number of rows."""
+    return np.add.accumulate(products, axis=-1)[..., -1]
+
+
+def _nearest(k: int):
+    """The k nearest of one block for each vector of another: screened by a matrix product, decided by exact sums."""
+
+    def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for x in batch.to_pylist():
+                ids, others = np.array(x["ids"], np.int64), np.array(x["other_ids"], np.int64)
+                q, c = np.array(x["v"]).reshape(len(ids), -1), np.array(x["u"]).reshape(len(others), -1)
+                q_norm, c_norm = np.sqrt(_running(q * q)), np.sqrt(_running(c * c))
+                near = (q / q_norm[:, None]) @ (c / c_norm[:, None]).T
+                near[ids[:, None] == others[None, :]] = -np.inf
+                least = np.partition(near, -min(k, len(others)), axis=1)[:, -min(k, len(others))]
+                i, j = np.nonzero((near >= least[:, None] - _SLACK) & (near > -np.inf))
+                cosine = np.concatenate([np.zeros(0), *(_running(q[i[s : s + 16384]] * c[j[s : s + 16384]]) for s in range(0, len(i), 16384))]) / (q_norm[i] * c_norm[j])
+                order = np.lexsort((others[j], -cosine, i))
+                i, j, cosine = i[order], j[order], cosine[order]
+                first = np.searchsorted(i, i)
+                top = np.flatnonzero(np.arange(len(i)) - first < k)
+                yield pa.RecordBatch.from_arrays([pa.array(y) for y in (ids[i[top]], others[j[top]], cosine[top])], ["vec_id", "other", "cosine"])
+
+    return work
+
+
+def embedding_knn(spark: SparkSession, sf_dir: str, k: int = 8, block: int = 1024) -> DataFrame:
+    """The k nearest vectors by cosine, ties to the smaller id; blocks of vectors meet two by two.
+
+    Vectors without a direction (null, zero, holding null or a non-finite component) take no part.
+    """
+    finite = lambda x: x.isNotNull() & (F.abs(x) < float("inf"))  # noqa: E731  (a NaN counts as greater)
     unit = F.transform("embedding", lambda x: x.cast("double"))
-    vectors = table(spark, sf_dir, "embeddings").select("vec_id", unit.alias("v"))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    vectors = vectors.withColumn("norm", F.sqrt(dot(F.col("v"), F.col("v"))))
-    other = vectors.withColumnsRenamed({"vec_id": "other", "v": "u", "norm": "other_norm"})
-    near = vectors.join(other, F.col("vec_id") != F.col("other")).select("vec_id", "other", (dot(F.col("v"), F.col("u")) / (F.col("norm") * F.col("other_norm"))).alias("cosine"))
+    vectors = table(spark, sf_dir, "embeddings").select("vec_id", unit.alias("v")).where(F.forall("v", finite) & F.exists("v", lambda x: x != 0))
+    n = vectors.count()
+    blocks = cut(vectors.groupBy(F.pmod(F.xxhash64("vec_id"), F.lit(max(1, -(-n // block)))).alias("block")).agg(F.collect_list(F.struct("vec_id", "v")).alias("x")).select(F.col("x.vec_id").alias("ids"), F.flatten("x.v").alias("v")))
+    other = blocks.select(F.col("ids").alias("other_ids"), F.col("v").alias("u"))
+    met = blocks.repartition(max(1, min(n // block, 200))).crossJoin(F.broadcast(other) if n <= _BROADCAST else other)
+    near = met.mapInArrow(_nearest(k), "vec_id long, other long, cosine double")
     rank = F.row_number().over(Window.partitionBy("vec_id").orderBy(F.desc("cosine"), "other"))
     return near.withColumn("rank", rank).where(F.col("rank") <= k).select(F.col("vec_id").alias("src"), F.col("other").alias("dst"), (F.col("rank") + 1).cast("long").alias("w"))
 
