@@ -98,6 +98,13 @@ def test_nearest_vectors(spark, tmp_path):
     assert {tuple(r) for r in embedding_knn(spark, str(tmp_path), block=16).collect()} == want
 
 
+def test_generators_and_checks_read_tables(spark):
+    made = q.queries()
+    for name, given in (("gen_rmat", "orders"), ("gen_er", "orders"), ("gen_lattice", "events"), ("distributive_check", "lineitem")):
+        assert any(f"/{given}.parquet" in f for f in made[name](spark, SF).inputFiles())
+    assert {r.program: r.violations > 0 for r in q.distributive_check(spark, SF).collect()} == {"min_plus": False, "max_min": False, "mean": True}
+
+
 def test_table_functions(spark):
     assert sorted(map(tuple, q.udtf_frontier_blocks(spark, SF).collect())) == sorted(map(tuple, q.wd_blocks_example(spark, SF).collect()))
     assert sorted(map(tuple, q.udtf_split_node(spark, SF).collect())) == sorted(map(tuple, q.ns_split("part_next")(spark, SF).collect()))
